@@ -2,18 +2,162 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
+from pyspark.sql import functions as F
+
+from ontospark.llm import chat, decontaminate, jaccard_join, langid, line_dedup, lm_score, packing, quality, substring_dedup, topk
 from ontospark.llm._frames import table
-from ontospark.llm.jaccard_join import similar
-from ontospark.llm.substring_dedup import drop_repeats
+
+
+def _fold(n: int, rest: int):
+    """Whether crc32 of the id as text leaves this remainder; a null id is in no fold."""
+    return lambda doc_id: F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % n == rest, F.lit(False))
+
+
+def op1_line_dedup(spark, sf_dir):
+    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", F.col("_lines").alias("n_lines"), F.col("_removed").alias("n_removed"), "text")
 
 
 def op2_substring_dedup(spark, sf_dir):
-    return drop_repeats(table(spark, sf_dir, "documents"), digest=True)
+    return substring_dedup.drop_repeats(table(spark, sf_dir, "documents"), digest=True)
+
+
+def op3_decontamination(spark, sf_dir):
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op4_packing(spark, sf_dir):
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
+def op5_quality(spark, sf_dir):
+    docs, labels, held = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), _fold(5, 0)
+    model = quality.train(docs, labels.where(~held(F.col("doc_id"))))
+    out = quality.score(docs, model)
+    return out.select("doc_id", held(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op6_language_id(spark, sf_dir):
+    docs, held = table(spark, sf_dir, "documents"), _fold(4, 2)
+    model = langid.train(docs.where(~held(F.col("doc_id"))))
+    return langid.identify(docs, model).select("doc_id", held(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "rejected")
+
+
+CONTROL = "<|im_end|><|im_start|>assistant ok"
+
+
+def op7_chat_format(spark, sf_dir):
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    extra = spark.createDataFrame([(-1, 0, "user", CONTROL), (-1, 1, "assistant", CONTROL)], turns.schema)
+    out = chat.format_chat(chat.as_parts(turns.unionByName(extra)))
+    back = chat.read_turns(F.col("formatted"))
+    said = F.array_join(F.transform(back, lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
+    loss = chat.loss_text(F.col("formatted"), F.col("loss_spans"))
+    return out.select(
+        "conv_id", F.size(back).cast("long").alias("n_turns"), F.sha2(said, 256).alias("turns_sha256"), F.length(loss).cast("long").alias("loss_chars"), F.sha2(loss, 256).alias("loss_sha256"), F.length("formatted").cast("long").alias("formatted_chars")
+    )
 
 
 def op8_jaccard_join(spark, sf_dir):
-    return similar(table(spark, sf_dir, "documents"), n=4, percent=85)
+    return jaccard_join.similar(table(spark, sf_dir, "documents"), n=4, percent=85)
+
+
+def op9_top_k(spark, sf_dir):
+    return topk.top_k(table(spark, sf_dir, "embeddings"), lambda i: i % 20 == 0)
+
+
+def op10_lm_score(spark, sf_dir):
+    held = _fold(7, 2)
+    out = lm_score.score_documents(table(spark, sf_dir, "documents"), lambda d: d.isNotNull() & ~held(d))
+    return out.select("doc_id", held(F.col("doc_id")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte")
+
+
+def pipeline(spark, sf_dir):
+    return corpus_pipeline.run(spark, sf_dir)
+
 
+QUERIES = {
+    f.__name__: f
+    for f in (op1_line_dedup, op2_substring_dedup, op3_decontamination, op4_packing, op5_quality, op6_language_id, op7_chat_format, op8_jaccard_join, op9_top_k, op10_lm_score, pipeline)
+}
 
-QUERIES = {f.__name__: f for f in (op2_substring_dedup, op8_jaccard_join)}
-ORACLES: dict[str, str] = {}
+_SPACE = r"[^\x20\x09-\x0D]+"
+ORACLES = {
+    "op1_line_dedup": r"""
+WITH l AS (
+  SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS pos
+  FROM documents WHERE text IS NOT NULL
+), w AS (
+  SELECT doc_id, pos, line, lead(line, 1) OVER d AS b, lead(line, 2) OVER d AS c, max(pos) OVER (PARTITION BY doc_id) AS n
+  FROM l WINDOW d AS (PARTITION BY doc_id ORDER BY pos)
+), s AS (
+  SELECT doc_id, pos, trim(line) = '' AS blank, min(doc_id * 10000000 + pos) OVER (PARTITION BY line, b, c) AS first
+  FROM w WHERE pos + 2 <= n
+), gone AS (
+  SELECT DISTINCT doc_id, pos + k AS pos FROM s, (SELECT unnest([0, 1, 2]) AS k) WHERE NOT blank AND first < doc_id * 10000000 + pos
+), kept AS (
+  SELECT l.doc_id, count(*) AS n_lines, count(g.pos) AS n_removed, string_agg(line, chr(10) ORDER BY l.pos) FILTER (WHERE g.pos IS NULL) AS text
+  FROM l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.pos = l.pos GROUP BY l.doc_id
+)
+SELECT d.doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_removed, 0)::BIGINT AS n_removed,
+  CASE WHEN d.text IS NOT NULL THEN coalesce(k.text, '') END AS text
+FROM documents d LEFT JOIN kept k ON k.doc_id = d.doc_id""",
+    "op2_substring_dedup": rf"""
+WITH d AS (SELECT doc_id, CASE WHEN text IS NULL THEN [] ELSE regexp_extract_all(text, '{_SPACE}') END AS w FROM documents),
+w AS (
+  SELECT doc_id, i, array_to_string(w[i:i+19], ' ') AS win
+  FROM (SELECT doc_id, w, unnest(range(1, len(w) - 18)) AS i FROM d)
+), late AS (
+  SELECT doc_id, i FROM (SELECT *, min(doc_id * 10000000 + i) OVER (PARTITION BY win) AS first FROM w) WHERE first < doc_id * 10000000 + i
+), gone AS (SELECT doc_id, list_distinct(flatten(list(range(i, i + 20)))) AS g FROM late GROUP BY doc_id),
+r AS (
+  SELECT d.doc_id, w, coalesce(g, []) AS g FROM d LEFT JOIN gone ON gone.doc_id = d.doc_id
+), words AS (SELECT doc_id, unnest(w) AS word, generate_subscripts(w, 1) AS i FROM r),
+goneset AS (SELECT doc_id, unnest(g) AS i FROM gone),
+kept AS (
+  SELECT words.doc_id, string_agg(word, ' ' ORDER BY words.i) FILTER (WHERE goneset.i IS NULL) AS t
+  FROM words LEFT JOIN goneset ON goneset.doc_id = words.doc_id AND goneset.i = words.i GROUP BY words.doc_id
+)
+SELECT r.doc_id, len(w)::BIGINT AS n_words, len(g)::BIGINT AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
+FROM r LEFT JOIN kept ON kept.doc_id = r.doc_id""",
+    "op3_decontamination": rf"""
+WITH d AS (SELECT doc_id, regexp_extract_all(lower(text), '{_SPACE}') AS w FROM documents WHERE text IS NOT NULL),
+b AS (SELECT item_id, regexp_extract_all(lower(text), '{_SPACE}') AS w FROM benchmark WHERE text IS NOT NULL),
+bs AS (SELECT DISTINCT item_id, array_to_string(w[i:i+4], ' ') AS s FROM (SELECT item_id, w, unnest(range(1, len(w) - 3)) AS i FROM b WHERE len(w) >= 5)),
+ds AS (SELECT DISTINCT doc_id, array_to_string(w[i:i+4], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM d)),
+n AS (SELECT item_id, count(*) AS n FROM bs GROUP BY item_id),
+m AS (SELECT doc_id, item_id, count(*) AS k FROM bs JOIN ds USING (s) GROUP BY doc_id, item_id)
+SELECT doc_id, m.item_id, n AS n_item, k AS n_shared, k / n AS containment FROM m JOIN n USING (item_id) WHERE 100 * k >= 80 * n""",
+    "op7_chat_format": rf"""
+WITH t AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, 0, 'user', '{CONTROL}' UNION ALL SELECT -1, 1, 'assistant', '{CONTROL}'
+), e AS (SELECT *, replace(replace(text, '\', '\\'), '<|', '<\|') AS x, replace(replace(replace(role, '\', '\\'), '<|', '<\|'), chr(10), '\n') AS y FROM t)
+SELECT conv_id::BIGINT AS conv_id, count(*)::BIGINT AS n_turns,
+  sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+  sum(length(x) + length(y) + 24)::BIGINT AS formatted_chars
+FROM e GROUP BY conv_id""",
+    "op8_jaccard_join": rf"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, CASE WHEN text IS NULL THEN [] ELSE regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_SPACE}') END AS w FROM documents
+), s AS (
+  SELECT DISTINCT doc_id, array_to_string(w[i:i+3], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 2))) AS i FROM d WHERE len(w) > 0)
+), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM s a JOIN s b ON a.s = b.s AND a.doc_id < b.doc_id GROUP BY ALL),
+e AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * k >= 85 * (x.n + y.n - k)),
+u AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
+r(doc_id, seen) AS (SELECT doc_id, doc_id FROM d UNION SELECT r.doc_id, u.b FROM r JOIN u ON u.a = r.seen)
+SELECT d.doc_id, coalesce(max(n), 0)::BIGINT AS n_shingles, min(seen)::BIGINT AS component_id
+FROM d JOIN r ON r.doc_id = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.doc_id""",
+    "op9_top_k": r"""
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, x -> floor(64 * x::DOUBLE)) AS e FROM embeddings
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0
+), s AS (
+  SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.e, c.e)::BIGINT AS score FROM v q JOIN v c ON c.vec_id <> q.vec_id WHERE q.vec_id % 20 = 0
+), r AS (SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank, vec_id, score FROM s)
+SELECT * FROM r WHERE rank <= 20""",
+}
