@@ -1,14 +1,15 @@
 """Exact n-gram Jaccard join with adaptive multi-match prefixes.
 
 Two documents with Jaccard similarity of at least t differ in at most k shingles, and k follows from their
-sizes. Shingles are put in one global order (by hash) and dealt by a second hash into k + 1 + SPARE parts.
-A document's prefix is the first m shingles of every part, so m lengthens the prefix; a pair is looked at
-only if all m prefix shingles of one part agree. At least SPARE + 1 parts are free of differing shingles, so
-no pair is lost for any m; documents with more empty parts than SPARE also send the plain one-match prefix.
-m is set for each size class: the least of STEPS whose estimated candidate cost, from a bounded sample scaled
-to the corpus, is small enough. Candidate pairs are never listed: each prefix keeps a star to its least
-member (first within a task, then within a bucket), and members of one candidate component are verified
-exactly by a search that skips pairs that are already connected.
+sizes. Shingles are put in one global order (by hash) and dealt by a second hash into more than k parts. A
+document's prefix is the first m shingles of every part, so m lengthens the prefix; a pair is looked at only
+if all m prefix shingles of one part agree. Parts with too few shingles are left out. There are so many parts
+that an agreeing one remains for every pair of documents with few thin parts; documents with more thin parts
+also send the plain one-match prefix, so no pair is lost for any m. m is set for each size class: the least of
+STEPS whose estimated candidate cost, from a bounded sample scaled to the corpus, is small enough, else whole
+parts. Candidate pairs are never listed: each prefix keeps a star to its least member (first within a task,
+then within a bucket), and members of one candidate component are verified exactly by a search that skips
+pairs that are already connected.
 
 Documents with equal shingle sets are one node from the start.
 """
@@ -24,12 +25,11 @@ from ontospark.llm._frames import batch, bounded, cut, parallelism, rows_of
 from ontospark.llm._text import LOWER, mix, shingle_set
 from ontospark.llm.components import components
 
-SPARE = 3
-STEPS = (1, 2, 4, 8)
+STEPS = (1, 2, 4)
 SAMPLE = 1500
 #: Candidate pairs that one document may cost on the estimate before its class takes the next step.
-COST = 2.0
-GROWTH = 1.5
+COST = 1.0
+GROWTH = 1.25
 #: Shingles that one verification task holds of one block.
 BLOCK = 4_000_000
 _SIG = np.dtype([("sig", "<u8"), ("node", "<i8")])
@@ -42,10 +42,10 @@ def most_different(total: int, percent: int) -> int:
 
 
 def classes(percent: int) -> list[int]:
-    """First sizes of the size classes."""
+    """First sizes of the size classes; similar sets lie in the same or in neighbouring classes."""
     out = [1]
     while out[-1] < 1 << 40:
-        out.append(max(out[-1] + 1, int(out[-1] * GROWTH)))
+        out.append(max(out[-1] + 1, int(out[-1] * max(GROWTH, 100 / percent))))
     return out
 
 
@@ -69,21 +69,25 @@ class Prefixes:
         return [c, c + 1] if 100 * n >= self.percent * self.first[c + 1] else [c]
 
     def block(self, s: np.ndarray, c: int, m: int) -> tuple[np.ndarray, bool]:
-        most = self.first[c + 1] - 1
-        k = most_different(2 * most, self.percent)
+        """Signatures in class c, and whether the document has more thin parts than the class can spare."""
+        k = most_different(2 * (self.first[c + 1] - 1), self.percent)
         if k <= 0:
             return np.zeros(0, np.uint64), False
-        parts = k + 1 + SPARE
+        least, spare = (1, 4 + 8 * k // 100) if m == 1 else (2, 5 + k // 4)
+        parts = k + 1 + spare
         part = (mix(s ^ np.uint64(0xA5A5_5A5A_0F0F_F0F0 + c)) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
         p, x = part[order], s[order]
         head = np.flatnonzero(np.concatenate([[True], p[1:] != p[:-1]]))
+        size = np.diff(np.append(head, len(p)))
+        at = p[head]
         if m:
-            rank = np.arange(len(p)) - np.repeat(head, np.diff(np.append(head, len(p))))
-            p, x = p[rank < m], x[rank < m]
-            head = np.flatnonzero(np.concatenate([[True], p[1:] != p[:-1]]))
+            rank = np.arange(len(p)) - np.repeat(head, size)
+            x = x[rank < m]
+            head = np.concatenate([[0], np.cumsum(np.minimum(size, m))[:-1]])
         total = np.add.reduceat(mix(x), head)
-        return mix(total + p[head].astype(np.uint64) * np.uint64(0x9E37_79B9) + np.uint64((c + 1) << 40)), parts - len(head) > SPARE
+        full = size >= least
+        return mix(total + at.astype(np.uint64) * np.uint64(0x9E37_79B9) + np.uint64((c + 1) << 40))[full], parts - int(full.sum()) > spare
 
     def of(self, s: np.ndarray) -> np.ndarray:
         n, out, sparse = len(s), [], False
@@ -97,7 +101,10 @@ class Prefixes:
 
 
 def estimate_steps(sample: list[np.ndarray], rows: int, percent: int) -> dict[int, int]:
-    """m for each size class: the least step whose estimated candidates for one document stay below COST."""
+    """m for each size class: the least step whose estimated candidates for one document stay below COST.
+
+    One pair more than the sample shows is assumed, so a thin sample leads to a longer prefix.
+    """
     by: dict[int, list[np.ndarray]] = {}
     p = Prefixes(percent, {})
     for s in sample:
@@ -109,7 +116,7 @@ def estimate_steps(sample: list[np.ndarray], rows: int, percent: int) -> dict[in
         for m in STEPS:
             sigs = np.concatenate([p.block(s, c, m)[0] for s in sets])
             _, n = np.unique(sigs, return_counts=True)
-            if (n * (n - 1)).sum() / len(sets) * rows / max(1, len(sample)) <= COST:
+            if (1 + (n * (n - 1) // 2).sum()) * 2 / len(sets) * rows / max(1, len(sample)) <= COST:
                 out[c] = m
                 break
     return out
