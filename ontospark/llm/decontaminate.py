@@ -63,7 +63,8 @@ def leaks(docs: DataFrame, items: DataFrame, n: int = WORDS, percent: int = SHAR
     both = near.alias("a").join(bounded(item).alias("b"), F.expr("a.item_id <=> b.item_id")).select("a.doc_id", "a.item_id", "b.sh", "b.len", _words(F.col("a.text")).alias("w"))
     mine = F.coalesce(*[F.when(F.col("len") == k, _texts(F.col("w"), k)) for k in lengths]) if lengths else F.array(F.lit(""))
     found = both.select("doc_id", "item_id", F.size("sh").cast("long").alias("n_item"), F.size(F.array_intersect("sh", mine)).cast("long").alias("n_shared"))
-    found = found.where(f"100 * n_shared >= {percent} * n_item").withColumn("containment", F.col("n_shared") / F.col("n_item"))
+    # written before it is filtered: a filter pushed below would split the text again for every shingle
+    found = cut(found).where(f"100 * n_shared >= {percent} * n_item").withColumn("containment", F.col("n_shared") / F.col("n_item"))
     best = F.max(F.struct("containment", "n_item", "n_shared")).alias("m")
     return found.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "m.n_item", "m.n_shared", "m.containment")
 
