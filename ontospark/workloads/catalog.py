@@ -45,7 +45,7 @@ def plain(text, mapping, q):
 def chased(text, mapping, q, levels, types):
     def run(spark, sf_dir):
         e = engine(spark, sf_dir, text, mapping)
-        out = chase_answers(parse_query(q), e.db, e.tgds, levels, "restricted")
+        out = chase_answers(parse_query(q), e.db, e.ontology.tgds, levels, "restricted")
         return out.select(*[F.col(f"a{i}").cast(t).alias(f"a{i}") for i, t in enumerate(types, 1)])
 
     return run
