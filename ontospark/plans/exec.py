@@ -47,11 +47,14 @@ def plan_cq(q: CQ, db: Database, sources: dict[Atom, DataFrame] | None = None, d
         for i, (mine, df) in enumerate(nodes):
             rest = [n for j, n in enumerate(nodes) if j != i]
             need = mine & (out | set().union(*(v for v, _ in rest)))
+            takes = [j for j, n in enumerate(nodes) if j != i and (n[1].isStreaming or not df.isStreaming)]  # a stream can't be the right side of a semi-join with a table
+            if not takes:
+                continue
             if not need:
-                k = next((j for j, n in enumerate(nodes) if j != i and n[0] & out), next(j for j in range(len(nodes)) if j != i))
+                k = next((j for j in takes if nodes[j][0] & out), takes[0])
                 nodes[k] = (nodes[k][0], _exists(nodes[k][1], df))
             else:
-                k = next((j for j, n in enumerate(nodes) if j != i and need <= n[0]), None)
+                k = next((j for j in takes if need <= nodes[j][0]), None)
                 if k is None:
                     continue
                 nodes[k] = (nodes[k][0], nodes[k][1].join(df.select(*sorted(need)), sorted(need), "left_semi"))
