@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from ontospark.llm._frames import batch, bounded, cut, parallelism, rows_of
 from ontospark.llm._text import LOWER, mix, shingle_set
 from ontospark.llm.components import components
+from ontospark.plans.ship import ship
 
 STEPS = (1, 2, 4)
 SAMPLE = 1500
@@ -278,6 +279,7 @@ def similar(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     Rows that repeat a doc_id each get a row. No rows: no rows.
     """
     spark = docs.sparkSession
+    ship(spark)
     buckets = parallelism(spark)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
     known = cut(src.mapInArrow(_nodes(n), "doc_id long, n_shingles long, node long"))

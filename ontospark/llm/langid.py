@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ontospark.llm._frames import batch, rows_of
+from ontospark.plans.ship import ship
 
 #: Labelled documents that one fit uses at most, picked by a hash of their id.
 SAMPLE = 4000
@@ -134,11 +135,13 @@ def identify(docs: DataFrame, model: Model) -> DataFrame:
     Text that is null or holds no letter, or a model that learned no language: `und`, score 0, rejected.
     Reads doc_id and text only. Rows that repeat a doc_id each get a row. No rows: no rows.
     """
+    ship(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).mapInArrow(_predicted(model), "doc_id long, lang_pred string, score double, rejected boolean")
 
 
 def drop_rejected(docs: DataFrame, model: Model) -> DataFrame:
     """The rows of docs that are not rejected, all columns as they were."""
+    ship(docs.sparkSession)
     fields = docs.schema
 
     def of(batches):

@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ontospark.llm._frames import batch, rows_of
+from ontospark.plans.ship import ship
 
 SEQUENCE = 2048
 SEGMENTS = 256
@@ -201,6 +202,7 @@ def pack(docs: DataFrame, path: str | None = None, tokens: int = SEQUENCE, segme
     the ids. Null text counts as empty: a piece of one id. Rows that repeat a doc_id are documents of their
     own. No rows: no rows. All ids of a document bear loss.
     """
+    ship(docs.sparkSession)
     if path is None:
         import public_tokenizers
 
@@ -217,6 +219,8 @@ def pack_examples(examples: DataFrame, limits: tuple[int, int, int], block: int
     Examples of no tokens get an offset in no sequence (null).
     """
 
+    ship(examples.sparkSession)
+
     def of(batches):
         schema = pa.schema([("id", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
         next_ = TaskContext.get().partitionId() << 40

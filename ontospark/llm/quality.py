@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from ontospark.llm._frames import batch, rows_of
 from ontospark.llm._text import grams, spans, word_hashes
+from ontospark.plans.ship import ship
 
 #: Labelled rows that one fit uses at most, picked by a hash of their id.
 SAMPLE = 20_000
@@ -144,6 +145,7 @@ def _scored(model: Ranker):
 
 def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Ranker:
     """Fit on at most `sample` labelled documents; rows with a null id or a label other than 0 and 1 are left out."""
+    ship(docs.sparkSession)
     picked = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(sample)
     got = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).join(F.broadcast(picked), "doc_id").select("quality", "body").mapInArrow(_features_of, "y int, x binary").limit(2 * sample).collect()
@@ -154,6 +156,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Ranker:
 
 def score(docs: DataFrame, model: Ranker) -> DataFrame:
     """doc_id and score (0 to 1) for each row; null text scores as empty text. No rows: no rows."""
+    ship(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).mapInArrow(_scored(model), "doc_id long, score double")
 
 

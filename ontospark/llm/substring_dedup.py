@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 from ontospark.llm._frames import batch, parallelism, rows_of, sliced
 from ontospark.llm._text import grams, sliding_min, spans, word_hashes
+from ontospark.plans.ship import ship
 
 WINDOW = 20
 PREFIX = 8
@@ -235,6 +236,7 @@ def drop_repeats(docs: DataFrame, window: int = WINDOW, prefix: int = PREFIX, di
     their SHA-256. Null text: no words. Fewer than `window` words: nothing removed. Rows that repeat a doc_id
     count as the same document, so neither removes the other. A null doc_id sorts first. No rows: no rows.
     """
+    ship(docs.sparkSession)
     n = parallelism(docs.sparkSession)
     moved = "bucket int, slice int, kind int, blob binary"
     parts = sliced(docs)

@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ontospark.llm._frames import batch, cut, parallelism, rows_of
+from ontospark.plans.ship import ship
 
 BLOCK = 4096
 NODES = 512
@@ -159,6 +160,7 @@ def top_k(vectors: DataFrame, is_query, k: int = 20, scale: float = 64.0) -> Dat
     repeat id and vector are one query; other repeated ids are rows of their own. No rows: no rows.
     """
     spark = vectors.sparkSession
+    ship(spark)
     n = parallelism(spark)
     empty = "query_id long, rank int, vec_id long, score long"
     good = vectors.where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull()).where(
