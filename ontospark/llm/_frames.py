@@ -91,8 +91,11 @@ class Dealer:
 
 
 def rows_of(batches: Iterable[pa.RecordBatch], *names: str) -> Iterator[tuple]:
+    """Values of the named columns, row by row; few rows at a time become Python objects."""
     for batch in batches:
-        yield from zip(*(batch.column(n).to_pylist() for n in names), strict=True)
+        for lo in range(0, batch.num_rows, 256):
+            part = batch.slice(lo, 256)
+            yield from zip(*(part.column(n).to_pylist() for n in names), strict=True)
 
 
 def batch(schema: pa.Schema, columns: list[list]) -> pa.RecordBatch:

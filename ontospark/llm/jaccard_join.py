@@ -74,7 +74,8 @@ class Prefixes:
         k = most_different(2 * (self.first[c + 1] - 1), self.percent)
         if k <= 0:
             return np.zeros(0, np.uint64), False
-        least, spare = (1, 4 + 8 * k // 100) if m == 1 else (2, 5 + k // 4)
+        # below 85 % parts are so small that too many would be thin if they needed two shingles
+        least, spare = (1, 4 + 8 * k // 100) if m == 1 or self.percent < 85 else (2, 5 + k // 4)
         parts = k + 1 + spare
         part = (mix(s ^ np.uint64(0xA5A5_5A5A_0F0F_F0F0 + c)) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
@@ -155,7 +156,7 @@ def _stars(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return x[first], np.unique(e, axis=0) if len(e) else e
 
 
-def _send(n: int, prefixes: Prefixes, buckets: int, flush: int = 2_000_000):
+def _send(n: int, prefixes: Prefixes, buckets: int, flush: int = 500_000):
     def of(batches):
         seen: set[int] = set()
         parts, size = [], 0
@@ -208,49 +209,54 @@ def _gather(batches):
 
 
 def forest(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Links that span the components of these sets; a pair already connected is not compared."""
+    """Links that span the components of these sets; a pair already connected is not compared.
+
+    Shingles are ordered by how many of the sets hold them. Linked sets share one of their first
+    n - ceil(t n) + 1 shingles in that order, so only sets met there are compared, by exact overlap.
+    """
     m = len(sets)
     if m < 2:
         return []
     size = np.array([len(s) for s in sets])
-    tokens = np.concatenate(sets)
-    owner = np.repeat(np.arange(m), size)
-    _, tokens, n = np.unique(tokens, return_inverse=True, return_counts=True)
-    shared = n[tokens] > 1
-    tokens, owner = tokens[shared], owner[shared]
-    start = np.searchsorted(owner, np.arange(m + 1))
-
-    def postings(mask: np.ndarray):
-        keep = mask[owner]
-        t, d = tokens[keep], owner[keep]
-        order = np.argsort(t, kind="stable")
-        return d[order], np.searchsorted(t[order], np.arange(len(n) + 1))
-
-    left = np.ones(m, bool)
-    docs, at = postings(left)
-    indexed, out = m, []
+    start = np.concatenate([[0], np.cumsum(size)])
+    tokens, n = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)[1:]
+    rank = np.empty(len(n), np.int32)
+    rank[np.argsort(n, kind="stable")] = np.arange(len(n), dtype=np.int32)
+    tokens, common_ones = rank[tokens], np.sort(n) > 1
+    lead = []
+    for d in range(m):
+        mine = tokens[start[d] : start[d + 1]]
+        mine.sort()
+        head = mine[: size[d] + (-percent * int(size[d]) // 100) + 1]
+        lead.append(head[common_ones[head]])
+    owner = np.repeat(np.arange(m, dtype=np.int32), [len(x) for x in lead])
+    met = np.concatenate(lead)
+    order = np.argsort(met, kind="stable")
+    owner, at = owner[order], np.searchsorted(met[order], np.arange(len(n) + 1))
+    left, out, mark = np.ones(m, bool), [], np.zeros(len(n), bool)
     for seed in range(m):
         if not left[seed]:
             continue
         left[seed] = False
         queue = [seed]
-        while queue and left.any():
-            if left.sum() * 2 < indexed:
-                docs, at = postings(left)
-                indexed = int(left.sum())
+        while queue:
             d = queue.pop()
-            mine = tokens[start[d] : start[d + 1]]
-            lo, hi = at[mine], at[mine + 1]
-            n_hit = hi - lo
-            total = int(n_hit.sum())
-            if not total:
+            if not len(lead[d]):
                 continue
-            shift = np.repeat(lo - np.concatenate([[0], np.cumsum(n_hit)[:-1]]), n_hit)
-            common = np.bincount(docs[np.arange(total) + shift], minlength=m)
-            linked = np.flatnonzero(left & (100 * common >= percent * (size + size[d] - common)) & (common > 0))
-            left[linked] = False
-            out += [(d, int(x)) for x in linked]
-            queue += linked.tolist()
+            near = np.unique(np.concatenate([owner[at[t] : at[t + 1]] for t in lead[d].tolist()]))
+            near = near[left[near]]
+            near = near[(100 * size[near] >= percent * size[d]) & (percent * size[near] <= 100 * size[d])]
+            if not len(near):
+                continue
+            mine = tokens[start[d] : start[d + 1]]
+            mark[mine] = True
+            for e in near.tolist():
+                both = int(np.count_nonzero(mark[tokens[start[e] : start[e + 1]]]))
+                if 100 * both >= percent * (size[e] + size[d] - both):
+                    left[e] = False
+                    out.append((d, e))
+                    queue.append(e)
+            mark[mine] = False
     return out
 
 
