@@ -1,21 +1,26 @@
 """Exact n-gram Jaccard join with adaptive multi-match prefixes.
 
 Two documents with Jaccard similarity of at least t differ in at most k shingles, and k follows from their
-sizes. Shingles are put in one global order (by hash) and dealt by a second hash into more than k parts. A
-document's prefix is the first m shingles of every part, so m lengthens the prefix; a pair is looked at only
-if all m prefix shingles of one part agree. Parts with too few shingles are left out. There are so many parts
-that an agreeing one remains for every pair of documents with few thin parts; documents with more thin parts
-also send the plain one-match prefix, so no pair is lost for any m. m is set for each size class: the least of
-STEPS whose estimated candidate cost, from a bounded sample scaled to the corpus, is small enough, else whole
-parts. Candidate pairs are never listed: each prefix keeps a star to its least member (first within a task,
-then within a bucket), and members of one candidate component are verified exactly by a search that skips
-pairs that are already connected.
+sizes. Shingles are put in one global order, rarest first: by their count in a table of hashed counters over
+all documents, then by hash. Any order is exact; this one keeps passages that many documents share out of the
+prefixes. The shortest prefix is the first n - ceil(t n) + 1 shingles, and one shared shingle makes a
+candidate. Where the estimated candidate cost of a size class is too high for that, its prefix is lengthened
+and more matches are asked for: shingles are dealt by a second hash into more than k parts, the prefix is the
+first m shingles of every part, and a pair is looked at only if all m prefix shingles of one part agree. Parts
+with too few shingles are left out. There are so many parts that an agreeing one remains for every pair of
+documents with few thin parts; documents with more thin parts also send the shortest prefix, so no pair is
+lost for any m. A class takes the first of STEPS whose estimated cost, from a bounded sample scaled to the
+corpus, is small enough, else the cheapest of them. Candidate pairs are never listed: each prefix keeps a star
+to its least member (first within a task, then within a bucket), and members of one candidate component are
+verified exactly by a search that skips pairs that are already connected.
 
 Documents with equal shingle sets are one node from the start.
 """
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,7 +31,11 @@ from ontospark.llm._text import LOWER, mix, shingle_set
 from ontospark.llm.components import components
 from ontospark.plans.ship import ship
 
-STEPS = (1, 2, 4)
+#: The shortest prefix (one match), then m matches in one of the parts, then whole parts.
+ONE, WHOLE = -1, 0
+STEPS = (ONE, 2, 4, WHOLE)
+#: Hashed counters: one for LOAD shingles, and their least and most number as powers of two.
+LOAD, LEAST_BITS, MOST_BITS = 8, 16, 23
 SAMPLE = 1500
 #: Candidate pairs that one document may cost on the estimate before its class takes the next step.
 COST = 1.0
@@ -56,11 +65,29 @@ def node_of(s: np.ndarray) -> int:
         return int(mix(np.array([mix(s.copy()).sum() + np.uint64(len(s))], np.uint64))[0] >> np.uint64(1))
 
 
+def counter_of(s: np.ndarray, bits: int) -> np.ndarray:
+    return (mix(s ^ np.uint64(0x3C6E_F372_FE94_F82B)) >> np.uint64(64 - bits)).astype(np.int64)
+
+
+def level_of(counts: np.ndarray) -> np.ndarray:
+    """Counts as bytes, eight levels to a doubling; rarer shingles come first in the global order."""
+    return np.minimum(8 * np.log2(counts.astype(np.float64) + 1), 255).astype(np.uint8)
+
+
 class Prefixes:
-    """Signatures of one shingle set; steps: m by size class (0: whole parts)."""
+    """Signatures of one shingle set; steps: ONE, m or WHOLE by size class; levels: of the hashed counters, or None."""
+
+    def __init__(self, percent: int, steps: dict[int, int], levels: np.ndarray | None = None):
+        self.percent, self.steps, self.first, self.levels = percent, steps, classes(percent), levels
+        self.bits = 0 if levels is None else len(levels).bit_length() - 1
+
+    def ordered(self, s: np.ndarray) -> np.ndarray:
+        """The sorted set in the global order."""
+        return s if self.levels is None else s[np.argsort(self.levels[counter_of(s, self.bits)], kind="stable")]
 
-    def __init__(self, percent: int, steps: dict[int, int]):
-        self.percent, self.steps, self.first = percent, steps, classes(percent)
+    def shortest(self, s: np.ndarray) -> np.ndarray:
+        """One signature for each shingle of the shortest prefix of an ordered set."""
+        return mix(s[: len(s) + (-self.percent * len(s) // 100) + 1] ^ np.uint64(0x5DEE_CE66_D123_4567))
 
     def size_class(self, n: int) -> int:
         return int(np.searchsorted(self.first, n, "right")) - 1
@@ -75,7 +102,7 @@ class Prefixes:
         if k <= 0:
             return np.zeros(0, np.uint64), False
         # below 85 % parts are so small that too many would be thin if they needed two shingles
-        least, spare = (1, 4 + 8 * k // 100) if m == 1 or self.percent < 85 else (2, 5 + k // 4)
+        least, spare = (1, 4 + 8 * k // 100) if self.percent < 85 else (2, 5 + k // 4)
         parts = k + 1 + spare
         part = (mix(s ^ np.uint64(0xA5A5_5A5A_0F0F_F0F0 + c)) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
@@ -92,34 +119,40 @@ class Prefixes:
         return mix(total + at.astype(np.uint64) * np.uint64(0x9E37_79B9) + np.uint64((c + 1) << 40))[full], parts - int(full.sum()) > spare
 
     def of(self, s: np.ndarray) -> np.ndarray:
-        n, out, sparse = len(s), [], False
-        for c in self.schemes(n):
-            sig, few = self.block(s, c, self.steps.get(c, 0))
-            out.append(sig)
-            sparse |= few
-        if sparse:
-            out.append(mix(s[: n + (-self.percent * n // 100) + 1] ^ np.uint64(0x5DEE_CE66_D123_4567)))
+        out, plain = [], False
+        s = self.ordered(s)
+        for c in self.schemes(len(s)):
+            m = self.steps.get(c, ONE)
+            if m != ONE:
+                sig, few = self.block(s, c, m)
+                out.append(sig)
+            plain |= m == ONE or few
+        if plain:
+            out.append(self.shortest(s))
         return np.concatenate(out)
 
 
-def estimate_steps(sample: list[np.ndarray], rows: int, percent: int) -> dict[int, int]:
-    """m for each size class: the least step whose estimated candidates for one document stay below COST.
+def estimate_steps(sample: list[np.ndarray], rows: int, percent: int, levels: np.ndarray | None = None) -> dict[int, int]:
+    """The step of each size class: the first whose estimated candidates for one document stay below COST, else the cheapest.
 
-    One pair more than the sample shows is assumed, so a thin sample leads to a longer prefix.
+    One pair more than the sample shows is assumed. Of equally cheap steps the shortest prefix wins.
     """
     by: dict[int, list[np.ndarray]] = {}
-    p = Prefixes(percent, {})
+    p = Prefixes(percent, {}, levels)
     for s in sample:
         if len(s):
             for c in p.schemes(len(s)):
-                by.setdefault(c, []).append(s)
+                by.setdefault(c, []).append(p.ordered(s))
     out = {}
     for c, sets in by.items():
+        best = None
         for m in STEPS:
-            sigs = np.concatenate([p.block(s, c, m)[0] for s in sets])
+            sigs = np.concatenate([p.shortest(s) if m == ONE else p.block(s, c, m)[0] for s in sets])
             _, n = np.unique(sigs, return_counts=True)
-            if (1 + (n * (n - 1) // 2).sum()) * 2 / len(sets) * rows / max(1, len(sample)) <= COST:
-                out[c] = m
+            cost = (1 + (n * (n - 1) // 2).sum()) * 2 / len(sets) * rows / max(1, len(sample))
+            if best is None or cost < best:
+                best, out[c] = cost, m
+            if cost <= COST:
                 break
     return out
 
@@ -129,21 +162,51 @@ def _sets(batches, n: int):
         yield row[0], shingle_set((row[1] or b"").translate(LOWER), n)
 
 
-_NODES = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.int64())])
+_NODES = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.int64()), ("slice", pa.int32()), ("counts", pa.binary())])
 
 
-def _nodes(n: int):
+def _nodes(n: int, bits: int, slices: int):
+    """A row for each document; after them the task's hashed counters, in slices."""
+
     def of(batches):
+        counts, parts, size = np.zeros(1 << bits, np.uint32), [], 0
         for b in batches:
             out: list[list] = [[], [], []]
             for doc, s in _sets([b], n):
                 for c, v in zip(out, (doc, len(s), node_of(s) if len(s) else None), strict=True):
                     c.append(v)
-            yield batch(_NODES, out)
+                if len(s):
+                    parts.append(counter_of(s, bits).astype(np.int32))
+                    size += len(s)
+                if size >= 1_000_000:
+                    counts += np.bincount(np.concatenate(parts), minlength=len(counts)).astype(np.uint32)
+                    parts, size = [], 0
+            none = [None] * len(out[0])
+            yield batch(_NODES, [*out, none, none])
+        if size:
+            counts += np.bincount(np.concatenate(parts), minlength=len(counts)).astype(np.uint32)
+        if counts.any():
+            width = len(counts) // slices
+            for i in range(slices):
+                part = counts[i * width : (i + 1) * width]
+                if part.any():
+                    yield batch(_NODES, [[None], [None], [None], [i], [zlib.compress(part.tobytes(), 1)]])
 
     return of
 
 
+_LEVELS = pa.schema([("slice", pa.int32()), ("levels", pa.binary())])
+
+
+def _levels(batches):
+    total: dict[int, np.ndarray] = {}
+    for i, blob in rows_of(batches, "slice", "counts"):
+        part = np.frombuffer(zlib.decompress(blob), np.uint32)
+        total[i] = total[i] + part if i in total else part.astype(np.uint64)
+    for i, part in total.items():
+        yield batch(_LEVELS, [[i], [level_of(part).tobytes()]])
+
+
 _SENT = pa.schema([("bucket", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())])
 
 
@@ -156,8 +219,11 @@ def _stars(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return x[first], np.unique(e, axis=0) if len(e) else e
 
 
-def _send(n: int, prefixes: Prefixes, buckets: int, flush: int = 500_000):
+def _send(n: int, percent: int, steps: dict[int, int], levels, buckets: int, flush: int = 500_000):
+    """levels: a broadcast variable of at most 2 ** MOST_BITS bytes."""
+
     def of(batches):
+        prefixes = Prefixes(percent, steps, np.frombuffer(levels.value, np.uint8))
         seen: set[int] = set()
         parts, size = [], 0
 
@@ -288,14 +354,23 @@ def similar(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     ship(spark)
     buckets = parallelism(spark)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
-    known = cut(src.mapInArrow(_nodes(n), "doc_id long, n_shingles long, node long"))
+    size = src.agg(F.coalesce(F.sum(F.octet_length("body")), F.lit(0))).first()[0]
+    bits = min(MOST_BITS, max(LEAST_BITS, int(size // (6 * LOAD)).bit_length()))
+    slices = 1 << min(8, buckets.bit_length())
+    both = cut(src.mapInArrow(_nodes(n, bits, slices), "doc_id long, n_shingles long, node long, slice int, counts binary"))
+    known = both.where("slice IS NULL").select("doc_id", "n_shingles", "node")
     rows = known.count()
+    levels = np.zeros(1 << bits, np.uint8)
+    counted = both.where("slice IS NOT NULL").select("slice", "counts").repartition(buckets, "slice")
+    for i, part in counted.mapInArrow(_levels, "slice int, levels binary").collect():
+        levels[i * len(part) : (i + 1) * len(part)] = np.frombuffer(part, np.uint8)
+    shared = spark.sparkContext.broadcast(levels.tobytes())
     picked = src.where("doc_id IS NOT NULL AND body IS NOT NULL").join(
         F.broadcast(known.where("n_shingles > 0").select("doc_id", F.xxhash64("doc_id").alias("h")).orderBy("h", "doc_id").limit(SAMPLE).select("doc_id").distinct()), "doc_id"
     ).select("body").limit(SAMPLE)
     sample = [shingle_set(r[0].translate(LOWER), n) for r in picked.toLocalIterator()]
-    prefixes = Prefixes(percent, estimate_steps(sample, rows, percent))
-    sent = src.mapInArrow(_send(n, prefixes, buckets), "bucket int, kind int, blob binary")
+    steps = estimate_steps(sample, rows, percent, levels)
+    sent = src.mapInArrow(_send(n, percent, steps, shared, buckets), "bucket int, kind int, blob binary")
     near = cut(sent.repartition(buckets, "bucket").mapInArrow(_gather, "a long, b long").distinct())
     nodes = known.where("node IS NOT NULL").groupBy("node").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
     groups = components(near)

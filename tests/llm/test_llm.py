@@ -139,16 +139,17 @@ def test_jaccard_join(spark):
     assert jaccard_join.similar(frame(spark, [])).count() == 0
 
 
-@pytest.mark.parametrize("m", [1, 2, 4, 0])
+@pytest.mark.parametrize("m", jaccard_join.STEPS)
 def test_prefixes_lose_no_link(m):
-    rng = np.random.default_rng(m)
+    rng = np.random.default_rng(m + 1)
+    levels = rng.integers(0, 4, 1 << 16).astype(np.uint8)
     for n in (8, 13, 20, 40, 90, 300, 1500):
         for _ in range(60):
             a = np.unique(rng.integers(0, 2**63, n).astype(np.uint64))
             k = jaccard_join.most_different(2 * len(a), 85) // 2
             b = np.unique(np.concatenate([np.delete(a, rng.choice(len(a), k, replace=False)), rng.integers(0, 2**63, k).astype(np.uint64)]))
             common = len(np.intersect1d(a, b))
-            p = jaccard_join.Prefixes(85, {c: m for c in range(80)} if m else {})
+            p = jaccard_join.Prefixes(85, dict.fromkeys(range(80), m), levels)
             if 100 * common >= 85 * (len(a) + len(b) - common) and common < len(a):
                 assert len(np.intersect1d(p.of(a), p.of(b)))
 
