@@ -14,6 +14,10 @@ corpus, is small enough, else the cheapest of them. Candidate pairs are never li
 to its least member (first within a task, then within a bucket), and members of one candidate component are
 verified exactly by a search that skips pairs that are already connected.
 
+Where so many documents share a counter that a component outgrows one verification task, the shingles of its
+members are counted exactly, slice by slice, and their shortest prefixes are taken anew in the order of those
+counts; a component is then what both orders leave together.
+
 Documents with equal shingle sets are one node from the start.
 """
 
@@ -35,13 +39,15 @@ from ontospark.plans.ship import ship
 ONE, WHOLE = -1, 0
 STEPS = (ONE, 2, 4, WHOLE)
 #: Hashed counters: one for LOAD shingles, and their least and most number as powers of two.
-LOAD, LEAST_BITS, MOST_BITS = 8, 16, 23
+LOAD, LEAST_BITS, MOST_BITS = 4, 16, 24
 SAMPLE = 1500
 #: Candidate pairs that one document may cost on the estimate before its class takes the next step.
 COST = 1.0
 GROWTH = 1.25
 #: Shingles that one verification task holds of one block.
 BLOCK = 4_000_000
+#: Shingles that one task counts exactly where a component outgrew a block.
+SLICE = 2_000_000
 _SIG = np.dtype([("sig", "<u8"), ("node", "<i8")])
 
 
@@ -169,22 +175,15 @@ def _nodes(n: int, bits: int, slices: int):
     """A row for each document; after them the task's hashed counters, in slices."""
 
     def of(batches):
-        counts, parts, size = np.zeros(1 << bits, np.uint32), [], 0
+        counts = np.zeros(1 << bits, np.uint32)
         for b in batches:
             out: list[list] = [[], [], []]
             for doc, s in _sets([b], n):
                 for c, v in zip(out, (doc, len(s), node_of(s) if len(s) else None), strict=True):
                     c.append(v)
-                if len(s):
-                    parts.append(counter_of(s, bits).astype(np.int32))
-                    size += len(s)
-                if size >= 1_000_000:
-                    counts += np.bincount(np.concatenate(parts), minlength=len(counts)).astype(np.uint32)
-                    parts, size = [], 0
+                np.add.at(counts, counter_of(s, bits), 1)
             none = [None] * len(out[0])
             yield batch(_NODES, [*out, none, none])
-        if size:
-            counts += np.bincount(np.concatenate(parts), minlength=len(counts)).astype(np.uint32)
         if counts.any():
             width = len(counts) // slices
             for i in range(slices):
@@ -219,6 +218,25 @@ def _stars(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return x[first], np.unique(e, axis=0) if len(e) else e
 
 
+def _dealt(x: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """Signatures in one blob for each bucket, each with its least node; edges of the other nodes to it."""
+    x, edges = _stars(x)
+    bucket = ((x["sig"] >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
+    order = np.argsort(bucket, kind="stable")
+    x, bucket = x[order], bucket[order]
+    at = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(x)]])
+    rows = [(int(bucket[i]), 0, x[i:j].tobytes()) for i, j in zip(at[:-1], at[1:], strict=True)]
+    for i in range(0, len(edges), 4096):
+        rows.append((int(edges[i, 0] % buckets), 1, edges[i : i + 4096].tobytes()))
+    return batch(_SENT, [list(c) for c in zip(*rows, strict=True)])
+
+
+def _signed(sig: np.ndarray, node: int) -> np.ndarray:
+    x = np.zeros(len(sig), _SIG)
+    x["sig"], x["node"] = sig, node
+    return x
+
+
 def _send(n: int, percent: int, steps: dict[int, int], levels, buckets: int, flush: int = 500_000):
     """levels: a broadcast variable of at most 2 ** MOST_BITS bytes."""
 
@@ -226,34 +244,18 @@ def _send(n: int, percent: int, steps: dict[int, int], levels, buckets: int, flu
         prefixes = Prefixes(percent, steps, np.frombuffer(levels.value, np.uint8))
         seen: set[int] = set()
         parts, size = [], 0
-
-        def drain():
-            nonlocal parts, size
-            x, edges = _stars(np.concatenate(parts))
-            parts, size = [], 0
-            bucket = ((x["sig"] >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
-            order = np.argsort(bucket, kind="stable")
-            x, bucket = x[order], bucket[order]
-            at = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(x)]])
-            rows = [(int(bucket[i]), 0, x[i:j].tobytes()) for i, j in zip(at[:-1], at[1:], strict=True)]
-            for i in range(0, len(edges), 4096):
-                rows.append((int(edges[i, 0] % buckets), 1, edges[i : i + 4096].tobytes()))
-            return batch(_SENT, [list(c) for c in zip(*rows, strict=True)])
-
         for _, s in _sets(batches, n):
             if not len(s) or (node := node_of(s)) in seen:
                 continue
             if len(seen) < 1_000_000:  # only spares repeated work
                 seen.add(node)
-            sig = prefixes.of(s)
-            x = np.zeros(len(sig), _SIG)
-            x["sig"], x["node"] = sig, node
-            parts.append(x)
-            size += len(x)
+            parts.append(_signed(prefixes.of(s), node))
+            size += len(parts[-1])
             if size >= flush:
-                yield drain()
+                yield _dealt(np.concatenate(parts), buckets)
+                parts, size = [], 0
         if size:
-            yield drain()
+            yield _dealt(np.concatenate(parts), buckets)
 
     return of
 
@@ -274,6 +276,93 @@ def _gather(batches):
             yield batch(_EDGE, [e[i : i + 50_000, 0], e[i : i + 50_000, 1]])
 
 
+_COUNT = np.dtype([("key", "<u8"), ("n", "<u4")])
+_COUNTED = pa.schema([("slice", pa.int32()), ("bucket", pa.int32()), ("blob", pa.binary())])
+
+
+def _members(group: pa.Table, n: int) -> list[tuple[int, int, np.ndarray]]:
+    """root, node and shingles of each text of a slice, once a node."""
+    out = {}
+    for root, node, body in rows_of(group.to_batches(), "root", "node", "body"):
+        if node not in out:
+            s = shingle_set((body or b"").translate(LOWER), n)
+            if len(s) and node_of(s) == node:
+                out[node] = (root, node, s)
+    return [out[x] for x in sorted(out)]
+
+
+def _within(root: int, s: np.ndarray) -> np.ndarray:
+    """Shingles are counted and met within one component, which grew too large, each for itself."""
+    return mix(s ^ mix(np.array([root], np.int64).view(np.uint64)))
+
+
+def _tally(n: int, buckets: int):
+    def of(group: pa.Table) -> pa.Table:
+        of_slice, rows = group.column("slice")[0].as_py(), []
+        sets = [_within(root, s) for root, _, s in _members(group, n)]
+        if sets:
+            key, count = np.unique(np.concatenate(sets), return_counts=True)
+            x = np.zeros(len(key), _COUNT)
+            x["key"], x["n"] = key, count
+            at = np.searchsorted(_bucket(key, buckets), np.arange(buckets + 1))
+            rows = [(of_slice, b, x[i:j].tobytes()) for b, (i, j) in enumerate(zip(at[:-1], at[1:], strict=True)) if j > i]
+        return pa.Table.from_batches([batch(_COUNTED, [list(c) for c in zip(*rows, strict=True)] or [[], [], []])])
+
+    return of
+
+
+def _bucket(key: np.ndarray, buckets: int) -> np.ndarray:
+    """Buckets rise with the key, so sorted keys stay sorted from bucket to bucket."""
+    return ((key >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)
+
+
+def _total(group: pa.Table) -> pa.Table:
+    """Of each slice's keys of a bucket, in their order, the count over all slices as a level."""
+    slices = group.column("slice").to_pylist()
+    parts = [np.frombuffer(b, _COUNT) for b in group.column("blob").to_pylist()]
+    key, back = np.unique(np.concatenate([p["key"] for p in parts]), return_inverse=True)
+    level = level_of(np.bincount(back, weights=np.concatenate([p["n"] for p in parts])))[back]
+    at = np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+    blobs = [level[i:j].tobytes() for i, j in zip(at[:-1], at[1:], strict=True)]
+    return pa.Table.from_batches([batch(_COUNTED, [slices, group.column("bucket").to_pylist(), blobs])])
+
+
+def _again(n: int, percent: int, buckets: int):
+    """Shortest prefixes of a slice's texts in the order of the counts that came back for it."""
+
+    def of(group: pa.Table, counted: pa.Table) -> pa.Table:
+        members = [(node, _within(root, s)) for root, node, s in _members(group, n)]
+        if not members:
+            return _SENT.empty_table()
+        key = np.unique(np.concatenate([s for _, s in members]))
+        level = np.frombuffer(b"".join(b for _, b in sorted(zip(counted.column("bucket").to_pylist(), counted.column("blob").to_pylist(), strict=True))), np.uint8)
+        p, out = Prefixes(percent, {}), []
+        for node, s in members:
+            s.sort()
+            out.append(_signed(p.shortest(s[np.argsort(level[np.searchsorted(key, s)], kind="stable")]), node))
+        return pa.Table.from_batches([_dealt(np.concatenate(out), buckets)])
+
+    return of
+
+
+def narrowed(src: DataFrame, groups: DataFrame, nodes: DataFrame, n: int, percent: int, buckets: int) -> DataFrame:
+    """groups(node, root) of candidates, where components too large for one verification task are split by exact counts."""
+    members = groups.join(nodes, "node")
+    large = cut(members.groupBy("root").agg(F.sum("n").alias("total")).where(F.col("total") > BLOCK))
+    total = large.agg(F.sum("total")).first()[0]
+    if not total:
+        return groups
+    slices = -(-int(total) // SLICE)
+    inside = cut(members.join(bounded(large.select("root")), "root", "left_semi").select(F.col("rep").alias("doc_id"), "node", "root"))
+    texts = src.join(bounded(inside), "doc_id").withColumn("slice", F.pmod(F.xxhash64("node"), F.lit(slices)).cast("int"))
+    texts = cut(texts.select("slice", "root", "node", "body"))
+    tallies = texts.groupBy("slice").applyInArrow(_tally(n, slices), "slice int, bucket int, blob binary")
+    counted = tallies.groupBy("bucket").applyInArrow(_total, "slice int, bucket int, blob binary")
+    sent = texts.groupBy("slice").cogroup(counted.groupBy("slice")).applyInArrow(_again(n, percent, buckets), "bucket int, kind int, blob binary")
+    near = cut(sent.repartition(buckets, "bucket").mapInArrow(_gather, "a long, b long").distinct())
+    return cut(groups.join(bounded(large.select("root")), "root", "left_anti").select("node", "root").unionByName(components(near)))
+
+
 def forest(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
     """Links that span the components of these sets; a pair already connected is not compared.
 
@@ -373,7 +462,7 @@ def similar(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     sent = src.mapInArrow(_send(n, percent, steps, shared, buckets), "bucket int, kind int, blob binary")
     near = cut(sent.repartition(buckets, "bucket").mapInArrow(_gather, "a long, b long").distinct())
     nodes = known.where("node IS NOT NULL").groupBy("node").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
-    groups = components(near)
+    groups = narrowed(src, components(near), nodes, n, percent, buckets)
     members = groups.join(nodes, "node").select("node", "root", "rep", "n")
     blocks = members.groupBy("root").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("nb"))
     placed = members.join(blocks, "root").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))

@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from ontospark.llm import chat, decontaminate, jaccard_join, langid, line_dedup, lm_score, packing, quality, queries, substring_dedup, topk
+from ontospark.llm import chat, components, decontaminate, jaccard_join, langid, line_dedup, lm_score, packing, quality, queries, substring_dedup, topk
 from ontospark.llm._text import LOWER, grams, hashed_words, sliding_min, spans
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -113,7 +113,7 @@ def test_decontamination(spark):
     assert decontaminate.leaks(frame(spark, docs), b.limit(0)).count() == 0 and decontaminate.leaks(frame(spark, []), b).count() == 0
 
 
-def test_jaccard_join(spark):
+def test_jaccard_join(spark, monkeypatch):
     rows = corpus(1)
     sets = {}
     for d, t in rows:
@@ -137,6 +137,13 @@ def test_jaccard_join(spark):
     assert len(got) == len(rows) and all((r.n_shingles, r.component_id) == (len(sets[r.doc_id]), find(r.doc_id)) for r in got)
     assert len({find(d) for d in ids}) < len(ids) - 5
     assert jaccard_join.similar(frame(spark, [])).count() == 0
+    # few counters, and components far larger than a block and a slice
+    for name, value in (("LEAST_BITS", 2), ("MOST_BITS", 2), ("BLOCK", 150), ("SLICE", 400)):
+        monkeypatch.setattr(jaccard_join, name, value)
+    calls = []
+    monkeypatch.setattr(jaccard_join, "components", lambda e: calls.append(0) or components.components(e))
+    again = jaccard_join.similar(frame(spark, rows), 4, 85).collect()
+    assert sorted(map(str, again)) == sorted(map(str, got)) and len(calls) == 3
 
 
 @pytest.mark.parametrize("m", jaccard_join.STEPS)
