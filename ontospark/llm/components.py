@@ -1,4 +1,4 @@
-"""Connected components of an edge table by least-label spreading with pointer jumping."""
+"""Connected components of an edge table by contraction to least neighbours."""
 
 from __future__ import annotations
 
@@ -11,15 +11,27 @@ from ontospark.llm._frames import cut
 def components(edges: DataFrame) -> DataFrame:
     """edges(a long, b long) -> (node, root): the least node reachable. Nodes without an edge don't occur.
 
-    Each round is a table in the shared folder; rounds grow with the logarithm of the longest path.
+    In each round every node takes the label of its least neighbour's least neighbour, if lesser, and edges are
+    carried over to labels; the least node of a component keeps its own. Ids are hashes, so in expectation a
+    round leaves a fraction of the nodes, and finished components no edge. Each round is a table in the shared
+    folder; at the end the rounds' labels are followed, from the last one back.
     """
-    both = cut(edges.where("a <> b").selectExpr("a", "b").union(edges.where("a <> b").selectExpr("b", "a")).distinct())
-    labels = cut(both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a AS node", "least(a, m) AS root"))
-    while True:
-        heard = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("root").alias("m"))
-        near = cut(labels.join(heard, labels.node == heard.a).selectExpr("node", "root AS was", "least(root, m) AS root"))
-        up = near.selectExpr("node AS at", "root AS top")
-        new = cut(near.join(up, near.root == up.at).selectExpr("node", "was", "least(root, top) AS root"))
-        labels = new.select("node", "root")
-        if new.where("root <> was").isEmpty():
-            return labels
+    left = cut(edges.where("a <> b").selectExpr("least(a, b) AS a", "greatest(a, b) AS b").distinct())
+    rounds = []
+    while not left.isEmpty():
+        both = left.union(left.selectExpr("b", "a"))
+        least = cut(both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a AS node", "least(a, m) AS up"))
+        top = least.selectExpr("node AS at", "up AS top")
+        step = cut(least.join(top, least.up == top.at).select("node", F.col("top").alias("root")))
+        rounds.append(step)
+        x, y = step.selectExpr("node AS a", "root AS x"), step.selectExpr("node AS b", "root AS y")
+        moved = left.join(x, "a").join(y, "b").where("x <> y")
+        left = cut(moved.selectExpr("least(x, y) AS a", "greatest(x, y) AS b").distinct())
+    if not rounds:
+        return left.selectExpr("a AS node", "b AS root")
+    found = rounds.pop()
+    while rounds:
+        later = found.selectExpr("node AS at", "root AS top")
+        step = rounds.pop()
+        found = cut(step.join(later, step.root == later.at, "left").select("node", F.coalesce("top", "root").alias("root")))
+    return found

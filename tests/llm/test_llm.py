@@ -161,6 +161,26 @@ def test_prefixes_lose_no_link(m):
                 assert len(np.intersect1d(p.of(a), p.of(b)))
 
 
+def test_components_equal_brute_force(spark):
+    rng = np.random.default_rng(3)
+    ids = rng.integers(-(2**62), 2**62, 300).tolist()
+    pairs = [*zip(ids[:99], ids[1:100]), *((ids[100], x) for x in ids[101:150]), *((ids[150 + i], ids[150 + j]) for i, j in rng.integers(0, 150, (120, 2)))]
+    root = {x: x for p in pairs for x in p if p[0] != p[1]}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in pairs:
+        if a != b:
+            x, y = find(a), find(b)
+            root[max(x, y)] = min(x, y)
+    got = components.components(spark.createDataFrame(pairs, "a long, b long")).collect()
+    assert sorted(map(tuple, got)) == sorted((x, find(x)) for x in root)
+    assert components.components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
 def test_forest_equals_brute_force():
     rng = np.random.default_rng(5)
     base = [np.unique(rng.integers(0, 4000, 60)) for _ in range(10)]
