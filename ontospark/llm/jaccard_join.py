@@ -38,6 +38,9 @@ from ontospark.plans.ship import ship
 #: The shortest prefix (one match), then m matches in one of the parts, then whole parts.
 ONE, WHOLE = -1, 0
 STEPS = (ONE, 2, 4, WHOLE)
+#: From this similarity on, parts hold enough shingles to need two matches or more, so classes start at the second step
+#: and take whole parts if none is cheap; below it too many parts would be thin.
+THICK = 85
 #: Hashed counters: one for LOAD shingles, and their least and most number as powers of two.
 LOAD, LEAST_BITS, MOST_BITS = 4, 16, 24
 SAMPLE = 1500
@@ -107,8 +110,7 @@ class Prefixes:
         k = most_different(2 * (self.first[c + 1] - 1), self.percent)
         if k <= 0:
             return np.zeros(0, np.uint64), False
-        # below 85 % parts are so small that too many would be thin if they needed two shingles
-        least, spare = (1, 4 + 8 * k // 100) if self.percent < 85 else (2, 5 + k // 4)
+        least, spare = (1, 4 + 8 * k // 100) if self.percent < THICK else (2, 5 + k // 4)
         parts = k + 1 + spare
         part = (mix(s ^ np.uint64(0xA5A5_5A5A_0F0F_F0F0 + c)) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
@@ -128,7 +130,7 @@ class Prefixes:
         out, plain = [], False
         s = self.ordered(s)
         for c in self.schemes(len(s)):
-            m = self.steps.get(c, ONE)
+            m = self.steps.get(c, ONE if self.percent < THICK else WHOLE)
             if m != ONE:
                 sig, few = self.block(s, c, m)
                 out.append(sig)
@@ -152,11 +154,11 @@ def estimate_steps(sample: list[np.ndarray], rows: int, percent: int, levels: np
     out = {}
     for c, sets in by.items():
         best = None
-        for m in STEPS:
+        for m in STEPS if percent < THICK else STEPS[1:]:
             sigs = np.concatenate([p.shortest(s) if m == ONE else p.block(s, c, m)[0] for s in sets])
             _, n = np.unique(sigs, return_counts=True)
             cost = (1 + (n * (n - 1) // 2).sum()) * 2 / len(sets) * rows / max(1, len(sample))
-            if best is None or cost < best:
+            if best is None or cost < best or (percent >= THICK and cost > COST):
                 best, out[c] = cost, m
             if cost <= COST:
                 break
