@@ -105,9 +105,17 @@ class Prefixes:
         c = self.size_class(n)
         return [c, c + 1] if 100 * n >= self.percent * self.first[c + 1] else [c]
 
+    def bound(self, c: int) -> int:
+        """The most shingles in which a linked pair of class c differs; 0: only equal sets, one node anyway, are linked.
+
+        The bound rises with the size sum among even and among odd sums, but not from one to the next.
+        """
+        total = 2 * (self.first[c + 1] - 1)
+        return max(most_different(total, self.percent), most_different(total - 1, self.percent))
+
     def block(self, s: np.ndarray, c: int, m: int) -> tuple[np.ndarray, bool]:
         """Signatures in class c, and whether the document has more thin parts than the class can spare."""
-        k = most_different(2 * (self.first[c + 1] - 1), self.percent)
+        k = self.bound(c)
         if k <= 0:
             return np.zeros(0, np.uint64), False
         least, spare = (1, 4 + 8 * k // 100) if self.percent < THICK else (2, 5 + k // 4)

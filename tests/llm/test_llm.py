@@ -161,6 +161,34 @@ def test_prefixes_lose_no_link(m):
                 assert len(np.intersect1d(p.of(a), p.of(b)))
 
 
+def unequal_links_kept(percent, steps):
+    """Every size up to 60 and every size it can be linked with by adding shingles; the pairs seen."""
+    rng = np.random.default_rng(7)
+    levels, pairs = rng.integers(0, 4, 1 << 16).astype(np.uint8), 0
+    for n in range(4, 61):
+        for extra in range(1, n):
+            if 100 * n < percent * (n + extra):
+                break
+            for _ in range(10):
+                b = np.unique(rng.integers(0, 2**63, n + extra).astype(np.uint64))
+                a = np.sort(rng.choice(b, n, replace=False))
+                p = jaccard_join.Prefixes(percent, steps, levels)
+                assert len(np.intersect1d(p.of(a), p.of(b))), (percent, n, extra)
+                pairs += 1
+    return pairs
+
+
+@pytest.mark.parametrize("m", [None, *jaccard_join.STEPS])
+def test_prefixes_lose_no_unequal_link(m):
+    assert unequal_links_kept(85, {} if m is None else dict.fromkeys(range(80), m)) > 1000
+
+
+def test_short_texts_with_a_word_appended_are_linked(spark):
+    rows = [(10 * n + k, " ".join(f"v{n}x{i}" for i in range(n + k))) for n in (9, 10, 11, 12, 13) for k in (0, 1)]
+    got = {r.doc_id: r.component_id for r in jaccard_join.similar(frame(spark, rows), 4, 85).collect()}
+    assert all(got[10 * n + 1] == 10 * n for n in (9, 10, 11, 12, 13))
+
+
 def test_components_equal_brute_force(spark):
     rng = np.random.default_rng(3)
     ids = rng.integers(-(2**62), 2**62, 300).tolist()
