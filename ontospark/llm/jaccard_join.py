@@ -151,7 +151,8 @@ class Prefixes:
 def estimate_steps(sample: list[np.ndarray], rows: int, percent: int, levels: np.ndarray | None = None) -> dict[int, int]:
     """The step of each size class: the first whose estimated candidates for one document stay below COST, else the cheapest.
 
-    One pair more than the sample shows is assumed. Of equally cheap steps the shortest prefix wins.
+    One pair more than the sample shows is assumed. Of equally cheap steps the shortest prefix wins. Classes that link
+    equal sets only are not estimated, since parts send nothing for them.
     """
     by: dict[int, list[np.ndarray]] = {}
     p = Prefixes(percent, {}, levels)
@@ -161,6 +162,8 @@ def estimate_steps(sample: list[np.ndarray], rows: int, percent: int, levels: np
                 by.setdefault(c, []).append(p.ordered(s))
     out = {}
     for c, sets in by.items():
+        if p.bound(c) <= 0:
+            continue
         best = None
         for m in STEPS if percent < THICK else STEPS[1:]:
             sigs = np.concatenate([p.shortest(s) if m == ONE else p.block(s, c, m)[0] for s in sets])

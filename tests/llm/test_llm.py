@@ -183,6 +183,17 @@ def test_prefixes_lose_no_unequal_link(m):
     assert unequal_links_kept(85, {} if m is None else dict.fromkeys(range(80), m)) > 1000
 
 
+def test_estimated_steps_lose_no_unequal_link():
+    rng = np.random.default_rng(5)
+    common = np.arange(1, 4, dtype=np.uint64)  # shared by all, so the shortest prefix and two matches cost much
+    sample = [np.unique(np.concatenate([common, rng.integers(0, 2**63, n - 3).astype(np.uint64)])) for n in range(4, 61) for _ in range(8)]
+    steps = jaccard_join.estimate_steps(sample, 10**9, 80)
+    p = jaccard_join.Prefixes(80, {})
+    assert set(steps.values()) - {jaccard_join.ONE} and all(p.bound(c) > 0 for c in steps)
+    for s in (steps, *(dict.fromkeys(range(80), m) for m in jaccard_join.STEPS)):
+        assert unequal_links_kept(80, s) > 1000
+
+
 def test_short_texts_with_a_word_appended_are_linked(spark):
     rows = [(10 * n + k, " ".join(f"v{n}x{i}" for i in range(n + k))) for n in (9, 10, 11, 12, 13) for k in (0, 1)]
     got = {r.doc_id: r.component_id for r in jaccard_join.similar(frame(spark, rows), 4, 85).collect()}
