@@ -423,6 +423,18 @@ def test_bit_predictions_sum_to_one():
     assert first > 0
 
 
+def test_rare_words_count_in_all_contexts():
+    body, length, z = np.frombuffer(b"abcdef", np.uint8), np.array([6]), np.zeros(1, int)
+    for weight in (1, 2, 3):
+        zeros, ones = np.zeros(1 << lm_score.SLOTS), np.zeros(1 << lm_score.SLOTS)
+        lm_score.count_bits(body, length, z, np.array([weight]), zeros, ones)
+        assert zeros.sum() + ones.sum() == weight * 7 * 8 * lm_score.ORDERS
+        s, _, c = lm_score.symbols(body, length, z)
+        for k in range(lm_score.ORDERS):
+            i = lm_score.slots(c[k], np.ones(len(s), np.uint32))
+            assert (zeros[i] + ones[i] >= weight).all()
+
+
 def test_pipeline_stages(spark, tmp_path):
     import corpus_pipeline
 
