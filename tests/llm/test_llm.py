@@ -6,6 +6,7 @@ import random
 import re
 import zlib
 from collections import Counter
+from types import SimpleNamespace
 
 import numpy as np
 import pytest
@@ -435,6 +436,18 @@ def test_rare_words_count_in_all_contexts():
             assert (zeros[i] + ones[i] >= weight).all()
 
 
+def test_classes_and_mixer_learn_from_all_rows(spark, monkeypatch):
+    monkeypatch.setattr(lm_score, "CLASS_SAMPLE", 2)
+    rows = [(i, " ".join(f"{'pqrs'[i % 4]}{j}" for j in range(i, i + 30))) for i in range(200)]
+    classes = lm_score.fit_classes(frame(spark, rows), lambda d: d.isNotNull())
+    n = np.rint(np.exp(classes.prior) * (len(rows) + lm_score.CLASSES) - 1)
+    assert n.sum() == len(rows)  # every training document is in a class
+    tables = SimpleNamespace(value=np.zeros((2, 1 << lm_score.SLOTS)))
+    lex = lm_score.batch(lm_score._LEX_PA, [[0], [np.arange(3, dtype="<u8").tobytes()], [np.array([1, 9, 0], "<i8").tobytes()], [np.full(3, 2, "<i4").tobytes()], [b"aabbcc"]])
+    (got,) = [b.to_pylist()[0] for b in lm_score._learn(tables, 0.1)([lex])]
+    assert abs(np.frombuffer(got["saw"], "<f8").sum() - 10 * 3 * 8) < 1e-6  # each of the ten training tokens, bit by bit
+
+
 def test_pipeline_stages(spark, tmp_path):
     import corpus_pipeline
 
