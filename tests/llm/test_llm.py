@@ -244,8 +244,8 @@ def test_packing(spark):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
-    rows = corpus(2) + [(900, "日本 語 <|endoftext|>  x\n \n y"), (901, "z" * 9000), (None, "no id")]
+    rows = corpus(2) + [(900, "日本 語 <|endoftext|>  x\n \n y"), (901, "z" * 9000), (None, "no id"), (902, "say <|endoftext|> now<|endoftext|>"), (903, "<|endoftext|")]
+    assert 50256 in tok.encode(rows[-2][1], add_special_tokens=False).ids
     got = packing.pack(frame(spark, rows), with_ids=True).collect()
     want = Counter((d, np.asarray(tok.encode(t or "", add_special_tokens=False).ids + [1], "<u4").tobytes()) for d, t in rows)
     by_doc, by_seq = {}, {}
@@ -269,6 +269,19 @@ def test_packing(spark):
     assert packing.pack(frame(spark, [])).count() == 0
 
 
+def test_both_engines_give_the_ids_of_the_tokenizer():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    tok, enc, rng = Tokenizer.from_file(path), packing.Encoder(path), random.Random(5)
+    chars = [chr(i) for i in range(256)]
+    odd = ["<|endoftext|>", "<|endoftext", "  ", "\n\n", "'ll", "'S", "²³¹¼", "\xa0\x85 ", "12345", "é", "日", "\u2028", "word", " word"]
+    texts = ["".join(chars), "", "<|endoftext|>", " <|endoftext|>\n", *("".join(rng.choice(odd + chars) for _ in range(rng.randint(1, 60))) for _ in range(3000))]
+    for t in texts:
+        assert np.frombuffer(enc.ids(t), "<u4").tolist() == tok.encode(t, add_special_tokens=False).ids, t
+
+
 def test_vector_bins_keep_all_limits_and_fill_well():
     rng = np.random.default_rng(1)
     items = np.stack([rng.integers(1, 900, 400), np.ones(400, int), rng.integers(0, 300, 400)], 1)
