@@ -75,6 +75,37 @@ class FoldedQuery(NamedTuple):
     unions: tuple[tuple[CQ, ...], ...]
 
 
+class View(NamedTuple):
+    """A predicate of a program and its queries, over tables' predicates and over earlier views."""
+
+    name: str
+    arity: int
+    queries: tuple[CQ, ...]
+
+
+class Program(NamedTuple):
+    """Non-recursive views in the order of their use; the last one is the query."""
+
+    views: tuple[View, ...]
+
+    @property
+    def goal(self) -> View:
+        return self.views[-1]
+
+    def flat_size(self) -> int:
+        """How many queries over tables' predicates unfolding would give, variants counted apart."""
+        n: dict[str, int] = {}
+        for v in self.views:
+            total = 0
+            for q in v.queries:
+                ways = 1
+                for a in q.body:
+                    ways *= n.get(a.pred, 1)
+                total += ways
+            n[v.name] = total
+        return n[self.goal.name]
+
+
 def show(t) -> str:
     return repr(t.value) if isinstance(t, Const) else f"_{t.id}" if isinstance(t, Null) else str(t)
 

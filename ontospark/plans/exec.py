@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ontospark.logic.terms import CQ, Atom, Const, FoldedQuery, Var
+from ontospark.logic.terms import CQ, Atom, Const, FoldedQuery, Program, Var
 from ontospark.plans.lineage import cut
 from ontospark.sources.mapping import Database
 
@@ -107,23 +108,27 @@ def run_union(union: Sequence[CQ], db: Database, strategy: str = "merged", max_f
     groups = [[q] for q in union] if strategy == "flat" else merge_groups(union)
     if len(groups) > max_flat:
         raise ValueError(f"{len(groups)} plans in one: use the folded or batched strategy, or raise max_flat")
+    db.share(Counter(a.pred for g in groups for a in g[0].body))
     return _tree([_plan_group(g, db) for g in groups]).distinct()
 
 
 def merge_groups(union: Sequence[CQ]) -> list[list[CQ]]:
-    """Queries that are equal but for the predicate of one atom, with its arguments the same."""
-    left, out = list(union), []
-    while left:
-        best: list[CQ] = [left[0]]
-        for k, a in enumerate(left[0].body):
-            hole = lambda q, a=a: next((b for b in q.body if b.args == a.args and set(q.body) - {b} == rest), None)
-            rest = set(left[0].body) - {a}
-            same = [q for q in left if q.head == left[0].head and len(q.body) == len(left[0].body) and hole(q)]
-            if len(same) > len(best):
-                best = same
-        out.append(best)
-        left = [q for q in left if q not in best]
-    return out
+    """Queries that are equal but for the predicate of one atom, with its arguments the same.
+
+    Each query is filed under all its forms with one predicate left out; the largest files are taken first.
+    """
+    files: dict[tuple, list[CQ]] = {}
+    for q in union:
+        for a in q.body:
+            files.setdefault((q.head, frozenset(q.body) - {a}, a.args), []).append(q)
+    taken: set[CQ] = set()
+    groups = []
+    for (_, rest, args), qs in sorted(files.items(), key=lambda x: -len(x[1])):
+        left = {next(iter(frozenset(q.body) - rest)).pred: q for q in qs if q not in taken}
+        if len(left) > 1 and not any(Atom(p, args) in rest for p in left):
+            groups.append(list(left.values()))
+            taken.update(left.values())
+    return groups + [[q] for q in union if q not in taken]
 
 
 def _plan_group(group: list[CQ], db: Database) -> DataFrame:
@@ -167,6 +172,19 @@ def run_folded(f: FoldedQuery, db: Database) -> DataFrame:
     return df.select(*cols).distinct() if cols else df.select(F.lit(True).alias("holds")).limit(1)
 
 
+def run_program(p: Program, db: Database) -> DataFrame:
+    """Views in order; one that several queries use is written to the shared folder, once."""
+    uses = Counter(a.pred for v in p.views for q in v.queries for a in q.body)
+    scope = db.extended({})
+    for v in p.views:
+        if v is p.goal or drop_dead(v.queries, scope):
+            df = run_union(v.queries, scope, "merged", arity=v.arity)
+            if v is p.goal:
+                return df
+            scope = scope.extended({v.name: cut(df) if uses[v.name] > 1 and not df.isStreaming else df})
+    raise ValueError("a program without views")
+
+
 def ask(union: Sequence[CQ], db: Database) -> bool:
     """Whether any query has an answer: smallest bodies first, ends with the first hit."""
     return any(not plan_cq(CQ((), q.body), db).isEmpty() for q in sorted(drop_dead(union, db), key=lambda q: len(q.body)))

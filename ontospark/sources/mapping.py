@@ -14,6 +14,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
+from ontospark.plans.lineage import cut
+
 #: Types that a position may have; doubles only where the position is never joined or compared.
 JOINABLE = (T.LongType, T.IntegerType, T.ShortType, T.ByteType, T.StringType, T.BooleanType, T.DateType, T.TimestampType, T.DecimalType)
 
@@ -28,11 +30,17 @@ class Predicate:
     base: str
     columns: tuple[str, ...]
     where: str = "true"
+    unique: bool = False  # the columns hold a key of the base, so rows are distinct as they are
+
+    @property
+    def derived(self) -> bool:
+        """Whether the base is more than a scan: a join, a window or an aggregate."""
+        return bool(re.search(r"\b(JOIN|SELECT)\b", self.base, re.IGNORECASE))
 
     def sql(self, null_policy: str = "drop") -> str:
         cols = ", ".join(f"{e} AS c{i}" for i, e in enumerate(self.columns, 1))
         cond = [self.where] + [f"({e}) IS NOT NULL" for e in self.columns if null_policy == "drop"]
-        return f"SELECT DISTINCT {cols} FROM {self.base} WHERE {' AND '.join(f'({c})' for c in cond if c != 'true') or 'true'}"
+        return f"SELECT {'' if self.unique else 'DISTINCT '}{cols} FROM {self.base} WHERE {' AND '.join(f'({c})' for c in cond if c != 'true') or 'true'}"
 
 
 class Mapping(AbcMapping):
@@ -68,6 +76,8 @@ class Database:
         self.spark, self.mapping, self.path, self.fmt, self.options = spark, mapping, path, fmt, options or {}
         self.extensions, self.null_policy = dict(extensions or {}), null_policy
         self.tables: dict[str, DataFrame] = {}
+        self.made: dict[str, DataFrame] = {}
+        self.kinds: dict[str, list[T.DataType]] = {}
 
     def table(self, name: str) -> DataFrame:
         if name not in self.tables:
@@ -87,10 +97,25 @@ class Database:
 
     def extension(self, pred: str) -> DataFrame:
         """Distinct facts as columns c1, c2, ..."""
-        if pred in self.extensions:
-            df = self.extensions[pred]
-            return df.toDF(*[f"c{i}" for i in range(1, len(df.columns) + 1)])
-        return self.run(self.mapping[pred].sql(self.null_policy))
+        if pred not in self.made:
+            if pred in self.extensions:
+                df = self.extensions[pred]
+                self.made[pred] = df.toDF(*[f"c{i}" for i in range(1, len(df.columns) + 1)])
+            else:
+                self.made[pred] = self.run(self.mapping[pred].sql(self.null_policy))
+        return self.made[pred]
+
+    def share(self, uses: dict[str, int]) -> None:
+        """Write the extensions of derived predicates that several plans use, once; later plans read the files."""
+        for pred, n in uses.items():
+            if n > 1 and pred in self.mapping and pred not in self.extensions and self.mapping[pred].derived and not (df := self.extension(pred)).isStreaming:
+                self.extensions[pred] = self.made[pred] = cut(df)
+
+    def extended(self, views: dict[str, DataFrame]) -> Database:
+        """The same database with further predicates."""
+        out = Database(self.spark, self.mapping, self.path, self.fmt, self.options, {**self.extensions, **views}, self.null_policy)
+        out.tables, out.made, out.kinds = self.tables, dict(self.made), dict(self.kinds)
+        return out
 
     def scan(self, preds: list[str]) -> list[tuple[list[str], DataFrame]]:
         """Extensions of several predicates of one arity; those over equal base and columns come from one scan."""
@@ -104,11 +129,13 @@ class Database:
                 out.append((names, self.extension(names[0])))
             else:
                 any_ = " OR ".join(f"({self.mapping[n].where})" for n in names)
-                out.append((names, self.run(Predicate("+".join(names), key[0], key[1], any_).sql(self.null_policy))))
+                out.append((names, self.run(Predicate("+".join(names), key[0], key[1], any_, all(self.mapping[n].unique for n in names)).sql(self.null_policy))))
         return out
 
     def types(self, pred: str) -> list[T.DataType]:
-        return [f.dataType for f in self.extension(pred).schema.fields]
+        if pred not in self.kinds:
+            self.kinds[pred] = [f.dataType for f in self.extension(pred).schema.fields]
+        return self.kinds[pred]
 
     def check_types(self, atoms) -> None:
         """Refuse a variable that stands at positions of different types, or joins doubles."""
@@ -117,7 +144,7 @@ class Database:
         whole = (T.LongType, T.IntegerType, T.ShortType, T.ByteType)
         seen: dict = {}
         for a in atoms:
-            if a.pred not in self:
+            if a.pred not in self or not a.args:
                 continue
             for t, kind in zip(a.args, self.types(a.pred), strict=True):
                 if isinstance(t, Const) and not isinstance(kind, JOINABLE):
