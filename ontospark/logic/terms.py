@@ -144,7 +144,12 @@ def existential(t: TGD) -> set:
     return variables(t.head) - variables(t.body)
 
 
-def ex_position(t: TGD) -> Position | None:
-    """Where a normal rule's existential variable stands in its head."""
+def ex_positions(t: TGD) -> tuple[Position, ...]:
+    """Where a normal rule's existential variables stand in its head, each of them once."""
     ex = existential(t)
-    return next((Position(a.pred, i) for a in t.head for i, x in enumerate(a.args, 1) if x in ex), None)
+    return tuple(Position(a.pred, i) for a in t.head for i, x in enumerate(a.args, 1) if x in ex)
+
+
+def ex_position(t: TGD) -> Position | None:
+    """The existential position of a rule that has at most one."""
+    return next(iter(ex_positions(t)), None)
