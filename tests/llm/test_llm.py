@@ -359,8 +359,12 @@ def test_typed_parts(spark):
     assert got[1].placeholder_tokens == 1262 and got[2].formatted == "<|im_start|>user\n<|im_end|>\n"
 
 
-@pytest.mark.parametrize("big", [1.0, 1e6])
-def test_top_k(spark, big):
+@pytest.mark.parametrize("big", [1.0, 1e4, 1e6])
+@pytest.mark.parametrize("small", [False, True])
+def test_top_k(spark, big, small, monkeypatch):
+    if small:  # many leaves, groups, blocks and nodes; a leaf larger than a group
+        for name, value in (("BLOCK", 8), ("NODE_ROWS", 3), ("GROUP", 2), ("PIECE", 2), ("LEAF_ROWS", 10)):
+            monkeypatch.setattr(topk, name, value)
     rng = np.random.default_rng(9)
     v = [list(map(float, x)) for x in rng.normal(0, big, (150, 6))]
     v[7] = v[20] = v[40] = v[3]
@@ -376,6 +380,8 @@ def test_top_k(spark, big):
     assert topk.top_k(df.limit(0), lambda i: i % 20 == 0).count() == 0
     few = topk.top_k(df.where("vec_id in (20, 21, 22)"), lambda i: i % 20 == 0).collect()
     assert len(few) == 2
+    with pytest.raises(ValueError):
+        topk.top_k(spark.createDataFrame([(1, [1e12])], "vec_id long, embedding array<double>"), lambda i: i == 1)
 
 
 def test_cover_tree_prunes_far_clusters_only():
@@ -390,11 +396,32 @@ def test_cover_tree_prunes_far_clusters_only():
     kth = np.sort(s, axis=1)[:, -5]
     worst = np.array([kth[near == k].min() if (near == k).any() else -np.inf for k in range(m)])
     here = np.array([(near == k).any() for k in range(m)])
-    pairs = set(tree.pairs(r, r, worst, here, here))
+    live = tree.pairs(r, r, worst, here, here)
     for q in range(len(points)):
         for x in np.argsort(-s[q])[:5]:
-            assert (near[q], near[x]) in pairs
-    assert len(pairs) < here.sum() ** 2
+            assert live[near[q], near[x]]
+    assert live.sum() < here.sum() ** 2
+    assert sorted(tree.order()) == list(range(m))
+
+
+def test_nodes_of_a_block_leave_most_products_out_where_vectors_cluster():
+    rng = np.random.default_rng(4)
+    kinds = rng.normal(0, 1, (40, 64))
+    m = np.floor(64 * (kinds[rng.integers(0, 40, 3000)] + rng.normal(0, 0.05, (3000, 64))))
+    order, sizes = topk.nodes_of(m, topk.NODE_ROWS)
+    assert sorted(order.tolist()) == list(range(3000)) and sizes.sum() == 3000 and len(sizes) == -(-3000 // topk.NODE_ROWS)
+    most = float(np.abs(m).max()) ** 2 * 64
+    best = topk.Best(np.arange(0, 3000, 20), m[::20], 20, most)
+    for lo in range(0, 3000, 1000):
+        part = np.arange(lo, lo + 1000)
+        own, n = topk.nodes_of(m[part], topk.NODE_ROWS)
+        best.meet(part[own], m[part[own]], n)
+    s = m[::20] @ m.T
+    s[np.arange(150), np.arange(0, 3000, 20)] = -np.inf
+    for i in range(150):
+        want = np.lexsort((np.arange(3000), -s[i]))[:20]
+        assert best.ids[i].tolist() == want.tolist() and best.score[i].tolist() == s[i][want].tolist()
+    assert best.products < 0.55 * s.size
 
 
 def test_lm_score(spark):
