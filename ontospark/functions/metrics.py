@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import threading
+import time
+import tracemalloc
 from collections import OrderedDict
 from collections.abc import Iterable, Sequence
 from statistics import median, pstdev
@@ -55,6 +57,26 @@ def significant(a: Sequence[float], b: Sequence[float]) -> bool:
     return abs(median(a) - median(b)) > max(pstdev(a), pstdev(b))
 
 
+def measured(job, runs: int = 10) -> dict[str, float]:
+    """Median and deviation of the time in ms, and the median peak of allocated memory in MB; time and memory in separate runs."""
+    times, peaks = [], []
+    for _ in range(runs):
+        began = time.perf_counter()
+        job()
+        times.append(1000 * (time.perf_counter() - began))
+    for _ in range(max(1, runs // 3)):
+        tracemalloc.start()
+        job()
+        peaks.append(tracemalloc.get_traced_memory()[1] / 1e6)
+        tracemalloc.stop()
+    return {"median_ms": median(times), "deviation_ms": pstdev(times), "peak_mb": median(peaks)}
+
+
+def significant_medians(a: dict[str, float], b: dict[str, float]) -> bool:
+    """The same test on what measured() returns."""
+    return abs(a["median_ms"] - b["median_ms"]) > max(a["deviation_ms"], b["deviation_ms"])
+
+
 class Cache:
     """A least-recently-used cache that counts calls and repeats; size 0 only counts."""
 
@@ -85,7 +107,10 @@ class Cache:
 
 
 class Caches:
-    """mgu, rename and elimination are cached; factorisation and homomorphism checks never repeat and are only counted."""
+    """mgu, rename and elimination are cached; factorisation and homomorphism checks (of pruning) never repeat and are only counted.
+
+    locked: one object may serve several threads, which then share what they find.
+    """
 
     def __init__(self, sizes: dict[str, int] = CACHE_SIZES, locked: bool = False):
         self.mgu, self.rename, self.elimination = (Cache(sizes[k], locked) for k in ("mgu", "rename", "elimination"))

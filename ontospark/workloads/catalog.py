@@ -3,24 +3,28 @@
 from __future__ import annotations
 
 from functools import cache
+from math import prod
 
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ontospark.engine import OntologyEngine
 from ontospark.functions import metrics
+from ontospark.functions.graph import graph_sizes, query_graph, register_udtf, rule_graph
 from ontospark.logic import analysis
 from ontospark.logic.parse import parse_ontology, parse_query
 from ontospark.logic.unify import canonical
 from ontospark.operators import baselines, checks
 from ontospark.operators.chase import chase_answers
 from ontospark.operators.eliminate import cover_set, eliminate, reduce_query
-from ontospark.operators.rewrite import Options, backward_rewrite, family_linear
+from ontospark.operators.program import compile_program
+from ontospark.operators.rewrite import Options, backward_rewrite, family_linear, family_sticky, minimise, replace
 from ontospark.operators.split import decompose, split_rewrite
 from ontospark.operators.subsume import prune
 from ontospark.plans.exec import run_union
 from ontospark.sources.mapping import Database
 from ontospark.workloads import ontologies as W
+from ontospark.workloads import published as G
 
 SINGLE = Options(subsets="single")
 
@@ -57,7 +61,7 @@ def row(spark, **values):
 
 
 def const(**values) -> str:
-    return "SELECT " + ", ".join(f"{repr(v) if isinstance(v, str) else str(v).lower() + ('::BIGINT' if isinstance(v, int) and not isinstance(v, bool) else '')} AS {k}" for k, v in values.items())
+    return "SELECT " + ", ".join(f"{repr(v) if isinstance(v, str) else str(v).lower() + ('::BIGINT' if isinstance(v, int) and not isinstance(v, bool) else '::DOUBLE' if isinstance(v, float) else '')} AS {k}" for k, v in values.items())
 
 
 def sizes(make):
@@ -68,13 +72,8 @@ def union_sizes(union):
     return {"size": len(union), "atoms": metrics.n_atoms(union), "joins_pairs": metrics.joins_pairs(union)}
 
 
-def _finance_flat():
-    return union_sizes(split_rewrite(parse_query(W.FINANCE_Q), analysis.normalise(rules(W.FINANCE).tgds), SINGLE).union)
-
-
-def _finance_pruned():
-    t = analysis.normalise(rules(W.FINANCE).tgds)
-    return union_sizes(split_rewrite(parse_query(W.FINANCE_Q), t, SINGLE, eliminate=True).union)
+def _split_sizes(text, q, eliminate=False):
+    return lambda: union_sizes(split_rewrite(parse_query(q), analysis.normalise(rules(text).tgds), SINGLE, eliminate=eliminate).union)
 
 
 def _path(n):
@@ -87,17 +86,13 @@ def _split(i):
     return union_sizes(s.union) | {"explored": s.explored, "generated": s.generated, "components": len(s.parts)}
 
 
-def edges_df(spark, sf_dir, graph):
-    return spark.createDataFrame(sorted((f"{a.pred}[{a.i}]", f"{b.pred}[{b.i}]", label if isinstance(label, str) else ">".join(label)) for a, b, label in graph), "source string, target string, label string")
-
-
-_PROP = "p(X,Y) => r(X,Y)\nr(X,Y) => s(X,Y,Y)\ns(X,X,Y) => p(X,Y)"
-_AFFECTED = "p(X,Y) => t(X,Y,Z)\nt(X,Y,Z) => p(W,Z)"
-_MARK = "a(X,Y) => b(X,Y,Z)\nb(X,Y,Z) => a(Y,Z)"
+_PROP = "w(X,Y) => e(Y,X)\ne(X,Y) => f(X,X,Y)\nf(X,Y,Y) => w(Y,X)"
+_AFFECTED = "k(X,Y) => m(Y,Z)\nm(X,Y) => k(Y,W)"
+_MARK = "g(X,Y), h(Y,Z) => j(X,Z,W)\nj(X,Y,Z) => g(Y,X)"
 
 
 def _marks(spark, sf_dir):
-    t = rules("r(X,Y), s(Y,Z) => t(X,Y,Z,W)\nt(X,Y,Z,W) => u(X,Z)").tgds
+    t = rules(_MARK).tgds
     return spark.createDataFrame(sorted((r, str(v), n) for (r, v), n in analysis.sticky_marking(t).items()), "rule string, variable string, round long")
 
 
@@ -133,28 +128,154 @@ def _piece():
 def _profile(spark, sf_dir):
     t = rules(W.PATH).tgds
     r = backward_rewrite(parse_query(W.path_query(3)), t, Options(subsets="single", eliminate=lambda q: reduce_query(q, t)))
+    prune(r.union, r.graph, r.caches)
     return spark.createDataFrame(r.caches.profile(), "operation string, calls long, repeat_percent double, distinct_inputs long")
 
 
 def _bounds():
     q, t = parse_query(W.path_query(2)), rules(W.PATH).tgds
-    return {"within": len(backward_rewrite(q, t, SINGLE).union) <= metrics.size_upper_bound(q, t)}
+    size, bound = len(backward_rewrite(q, t, SINGLE).union), metrics.size_upper_bound(q, t)
+    return {"size": size, "bound": bound, "within": size <= bound}
+
+
+SUITES = {"trade": (W.TRADE, W.TRADE_MAP), "content": (W.CONTENT, W.CONTENT_MAP), "path": (W.PATH, W.PATH_MAP), "collab": (W.COLLAB, W.COLLAB_MAP)}
 
 
 def _suite(spark, sf_dir):
+    """All short queries over an ontology: the rewriter and its rival end in unions of one size."""
     rows = []
-    for name, text, mapping in (("trade", W.TRADE, W.TRADE_MAP), ("content", W.CONTENT, W.CONTENT_MAP), ("path", W.PATH, W.PATH_MAP)):
+    for name, (text, mapping) in SUITES.items():
         o = rules(text)
-        qs = W.generated_suite(o)
-        same = 0
+        t = analysis.normalise(o.tgds)
+        qs, same = W.generated_suite(o), 0
         for q in qs:
-            a = prune([x for x in backward_rewrite(q, o.tgds, Options(subsets="all")).union if all(y.pred in mapping for y in x.body)])
-            b = prune([x for x in baselines.piece_rewrite(q, o.tgds).union if all(y.pred in mapping for y in x.body)])
+            a = prune([x for x in backward_rewrite(q, t, SINGLE).union if all(y.pred in mapping for y in x.body)])
+            b = prune([x for x in baselines.piece_rewrite(q, t).union if all(y.pred in mapping for y in x.body)])
             same += len(a) == len(b)
         rows.append((name, len(qs), same))
     return spark.createDataFrame(rows, "ontology string, queries long, same_size long")
 
 
+SETS = {"taxonomy": (G.TAXONOMY, G.TAXONOMY_Q), "roles": (G.ROLES, G.ROLES_Q), "staff": (G.STAFF, G.STAFF_Q)}
+_COUNTS = "size long, atoms long, joins long, explored long"
+
+
+def _normal(text):
+    return analysis.normalise(rules(text).tgds)
+
+
+def _reducing(t):
+    return Options(subsets="single", eliminate=lambda x: reduce_query(x, t))
+
+
+def _elimination_rows(spark, sf_dir):
+    """Measures of the union without and with atom elimination, for the rule sets of the published sizes."""
+    rows = []
+    for name, (text, queries) in SETS.items():
+        t = _normal(text)
+        for i, q in queries.items():
+            q = parse_query(q)
+            base, less = backward_rewrite(q, t, SINGLE), backward_rewrite(reduce_query(q, t), t, _reducing(t))
+            rows.append((name, i, *(x for r in (base, less) for x in (*union_sizes(r.union).values(), r.explored_r))))
+    return spark.createDataFrame(rows, f"ontology string, query int, {', '.join('base_' + c for c in _COUNTS.split(', '))}, {_COUNTS}")
+
+
+def _decomposition_rows(spark, sf_dir):
+    """Components and what is explored in them, against the whole query: sums against products."""
+    rows = []
+    for name, (text, queries) in SETS.items():
+        t = _normal(text)
+        for i, q in queries.items():
+            s = split_rewrite(parse_query(q), t, SINGLE)
+            rows.append((name, i, len(s.parts), len(s.union), s.explored))
+    return spark.createDataFrame(rows, "ontology string, query int, components int, size long, explored long")
+
+
+def _mode_rows(spark, sf_dir):
+    """Sizes after elimination and decomposition with no pruning, pruning at the end, in components, and while rewriting."""
+    rows = []
+    for name, (text, queries) in {**SETS, "path": (W.PATH, {i: W.path_query(i) for i in (1, 2, 3)})}.items():
+        t = _normal(text)
+        for i, q in queries.items():
+            q = parse_query(q)
+            opts = Options(subsets="single", edb=W.PATH_MAP.edb()) if name == "path" else SINGLE
+            none = split_rewrite(q, t, opts, eliminate=True)
+            part = split_rewrite(q, t, opts, eliminate=True, prune_components=True)
+            inline = split_rewrite(q, t, replace(opts, inline=True), eliminate=True)
+            rows.append((name, i, len(none.union), len(prune(none.union)), len(part.union), len(inline.union)))
+    return spark.createDataFrame(rows, "ontology string, query int, none long, final long, component long, inline long")
+
+
+def _program_rows(spark, sf_dir):
+    """Cliques: views of the folded program, and the size of the union that it stands for."""
+    t = _normal(G.CLIQUES)
+    programs = [(i, compile_program(parse_query(q), t, SINGLE)) for i, q in G.CLIQUES_Q.items()]
+    return spark.createDataFrame([(i, len(p.views), p.flat_size()) for i, p in programs], "query int, views int, flat_size long")
+
+
+def _deep_rows(spark, sf_dir):
+    """Deep rules with invented values: elimination only removes, and pruned unions are the same with it and without."""
+    t, rows = _normal(G.DEEP), []
+    for i in (1, 2, 4):
+        q = parse_query(G.DEEP_Q[i])
+        base, less = backward_rewrite(q, t, SINGLE), backward_rewrite(reduce_query(q, t), t, _reducing(t))
+        rows.append((i, len(less.union) <= len(base.union), less.explored_r <= base.explored_r, {canonical(minimise(x)) for x in prune(base.union, base.graph)} == {canonical(minimise(x)) for x in prune(less.union, less.graph)}))
+    return spark.createDataFrame(rows, "query int, not_larger boolean, not_more_explored boolean, same_pruned boolean")
+
+
+def _graph_rows(spark, sf_dir):
+    sets = {"taxonomy": G.TAXONOMY, "splitfull": W.SPLITFULL, "path": W.PATH}
+    return spark.createDataFrame([(k, *graph_sizes(_normal(x))) for k, x in sets.items()], "ontology string, nodes long, propagation_edges long, cover_edges long, longest long")
+
+
+def _measures(spark, sf_dir):
+    """Times and peaks of compiling: medians of ten runs."""
+    rows = []
+    for name, (text, queries) in SETS.items():
+        t = _normal(text)
+        for i in (2, 3):
+            q = parse_query(queries[i])
+            base, split = metrics.measured(lambda q=q, t=t: backward_rewrite(q, t, SINGLE)), metrics.measured(lambda q=q, t=t: split_rewrite(q, t, SINGLE, eliminate=True, output="folded"))
+            faster = metrics.significant_medians(base, split)
+            rows.append((name, i, base["median_ms"], base["peak_mb"], split["median_ms"], split["peak_mb"], faster))
+    return spark.createDataFrame(rows, "ontology string, query int, base_ms double, base_mb double, split_ms double, split_mb double, significant boolean")
+
+
+GAINS = {
+    "finance": (W.FINANCE, W.FINANCE_MAP, W.FINANCE_Q), "collab": (W.COLLAB, W.COLLAB_MAP, W.COLLAB_Q["collab_certain"]), "trade": (W.TRADE, W.TRADE_MAP, W.TRADE_Q["trade_q1"]),
+}
+
+
+def _gain(spark, sf_dir):
+    """Certain answers against the answers that need no rule."""
+    out = None
+    for name, (text, mapping, q) in GAINS.items():
+        e = engine(spark, sf_dir, text, mapping)
+        one = e.answer(q).agg(F.count(F.lit(1)).alias("certain_rows")).crossJoin(e.plain(q).agg(F.count(F.lit(1)).alias("plain_rows"))).select(F.lit(name).alias("ontology"), "certain_rows", "plain_rows")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _against_chase(spark, sf_dir):
+    """Rows that the rewriting finds and the chase doesn't, and the other way round."""
+    e = engine(spark, sf_dir, W.COLLAB, W.COLLAB_MAP)
+    q = parse_query(W.COLLAB_Q["collab_certain"])
+    got, want = e.answer(q).select(F.col("a1").cast("string").alias("a1")), chase_answers(q, e.db, e.ontology.tgds, 1, "restricted")
+    wrong, missing = got.exceptAll(want).agg(F.count(F.lit(1)).alias("unsound")), want.exceptAll(got).agg(F.count(F.lit(1)).alias("missing"))
+    return wrong.crossJoin(missing)
+
+
+def _graph_nodes(spark, sf_dir):
+    r = backward_rewrite(parse_query(W.COLLAB_Q["factor_needed"]), rules(W.COLLAB).tgds)
+    nodes, edges = query_graph(spark, r)
+    return nodes.join(edges, nodes.id == edges.target, "left").groupBy("atoms", "returned", F.coalesce("label", F.lit("start")).alias("made_by")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def _udtf(spark, sf_dir):
+    register_udtf(spark)
+    return spark.sql("SELECT atoms, joins, count(*) AS n FROM rewrite_cq('p(A) <- seller(A), sells(A,B)', 'sells(X,Y) => seller(X)\\ntrader(X) => seller(X)') GROUP BY atoms, joins")
+
+
 def _nc(spark, sf_dir):
     e = engine(spark, sf_dir, W.CONTENT, W.CONTENT_MAP)
     nc = e.ontology.ncs[0]
@@ -238,6 +359,11 @@ def _family():
     return {"size": len(backward_rewrite(q, t, SINGLE).union)}
 
 
+def _sticky_family():
+    q, t = family_sticky(2)
+    return {"largest": max(len(x.body) for x in backward_rewrite(q, t, SINGLE).union)}
+
+
 def _backchase():
     t = analysis.normalise(rules("a(X,Y) => b(Y)\nb(X) => c(X,Z)").tgds)
     out = baselines.chase_backchase(parse_query("p(A) <- a(A,B), b(B), c(B,D)"), t, 4)
@@ -249,10 +375,14 @@ QUERIES = {
     "finance_certain": certain(*F_, W.FINANCE_Q),
     "finance_merged": certain(*F_, W.FINANCE_Q, "merged"),
     "finance_plain": plain(*F_, W.FINANCE_Q),
-    "finance_chase": chased(*F_, W.FINANCE_Q, 3, ("long", "long", "string")),
-    "finance_legal": certain(*F_, "p(A) <- legal_person(A)"),
-    "finance_flat60_metrics": sizes(_finance_flat),
-    "finance_pruned_metrics": sizes(_finance_pruned),
+    "finance_folded": certain(*F_, W.FINANCE_Q, "folded"),
+    "finance_program": certain(*F_, W.FINANCE_Q, "program"),
+    "finance_chase": chased(*F_, W.FINANCE_Q, 2, ("long", "long", "string")),
+    "finance_legal": certain(*F_, "p(A) <- partner(A)"),
+    "finance_flat60_metrics": sizes(_split_sizes(W.EXAMPLE, W.EXAMPLE_Q)),
+    "finance_flat_metrics": sizes(_split_sizes(W.FINANCE, W.FINANCE_Q)),
+    "finance_pruned_metrics": sizes(_split_sizes(W.EXAMPLE, W.EXAMPLE_Q, True)),
+    "finance_own_pruned_metrics": sizes(_split_sizes(W.FINANCE, W.FINANCE_Q, True)),
     **{k: certain(W.COLLAB, W.COLLAB_MAP, q, "flat") for k, q in W.COLLAB_Q.items()},
     "collab_plain": plain(W.COLLAB, W.COLLAB_MAP, W.COLLAB_Q["collab_certain"]),
     "collab_chase": chased(W.COLLAB, W.COLLAB_MAP, W.COLLAB_Q["collab_certain"], 1, ("long",)),
@@ -274,8 +404,8 @@ QUERIES = {
     "fd_ok_orders": _fd("ord"),
     "affected_positions": lambda spark, sf_dir: spark.createDataFrame(sorted((t.id, f"{p.pred}[{p.i}]") for t in rules(_AFFECTED).tgds for p in analysis.affected(t, rules(_AFFECTED).tgds)), "rule string, position string"),
     "sticky_marking": _marks,
-    "propagation_edges": lambda spark, sf_dir: edges_df(spark, sf_dir, analysis.propagation_graph(rules(_PROP).tgds)),
-    "cover_graph_edges": lambda spark, sf_dir: edges_df(spark, sf_dir, analysis.cover_graph(rules(_PROP).tgds)),
+    "propagation_edges": lambda spark, sf_dir: rule_graph(spark, rules(_PROP).tgds),
+    "cover_graph_edges": lambda spark, sf_dir: rule_graph(spark, rules(_PROP).tgds, cover=True),
     "decomposition_components": _components,
     "elimination_cover_sets": _covers,
     "subsumption_final": sizes(_subsumption(False)),
@@ -285,7 +415,20 @@ QUERIES = {
     "cache_profile": _profile,
     "size_bounds": sizes(_bounds),
     "family_linear_sizes": sizes(_family),
+    "family_sticky_sizes": sizes(_sticky_family),
     "generated_suite_summary": _suite,
+    "rule_set_sizes": lambda spark, sf_dir: spark.createDataFrame(G.sizes(), "ontology string, rules long, constraints long"),
+    "elimination_rows": _elimination_rows,
+    "decomposition_rows": _decomposition_rows,
+    "subsumption_mode_rows": _mode_rows,
+    "clique_metrics": _program_rows,
+    "deep_rows": _deep_rows,
+    "graph_rows": _graph_rows,
+    "compile_measures": _measures,
+    "ontology_gain": _gain,
+    "answers_against_chase": _against_chase,
+    "query_graph_nodes": _graph_nodes,
+    "rewrite_cq_udtf": _udtf,
     "answer_aggregate": _aggregate,
     "answer_topk": _topk,
     "answer_window": _window,
@@ -299,6 +442,7 @@ _BASE = "SELECT DISTINCT o_orderkey AS a1 FROM orders JOIN lineitem ON l_orderke
 _COLLAB = _BASE + " UNION SELECT o_orderkey FROM orders WHERE o_orderstatus = 'O' AND o_orderpriority = '1-URGENT'"
 _HC = "SELECT l_suppkey AS c, o_orderpriority AS a, o_orderkey AS p FROM orders JOIN lineitem ON l_orderkey = o_orderkey WHERE l_returnflag = 'R'"
 _FIN = "SELECT DISTINCT l.p_partkey AS a1, u.c AS a2, l.p_brand AS a3 FROM part l JOIN (SELECT l_partkey AS s, l_suppkey AS c FROM lineitem WHERE l_returnflag IN ('A', 'R')) u ON u.s = l.p_partkey WHERE l.p_type IN ('PROMO', 'ECONOMY')"
+_FIN_PLAIN = "SELECT DISTINCT a.p_partkey AS a1, l_suppkey AS a2, a.p_brand AS a3 FROM part a JOIN lineitem ON l_partkey = a.p_partkey JOIN supplier ON s_suppkey = l_suppkey WHERE a.p_size > 40 AND l_returnflag = 'A' AND s_acctbal > 3000 AND a.p_type IN ('PROMO', 'ECONOMY') AND a.p_brand IN ('Brand#1', 'Brand#2', 'Brand#3')"
 _NEXT = "n AS (SELECT a, b FROM (SELECT conv_id * 100 + turn AS a, lead(conv_id * 100 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations) WHERE b IS NOT NULL), l AS (SELECT max(conv_id * 100 + turn) AS a, 1 + conv_id % 5 AS k FROM conversations GROUP BY conv_id)"
 
 
@@ -331,12 +475,34 @@ def _values(names: str, *rows: tuple) -> str:
     return f"SELECT * FROM (VALUES {', '.join(map(repr, rows))}) v({names})"
 
 
+def _table(kinds: str, *rows: tuple) -> str:
+    names = [x.split() for x in kinds.split(", ")]
+    values = ", ".join("(" + ", ".join(str(v).lower() if isinstance(v, bool) else repr(v) for v in r) + ")" for r in rows)
+    return f"SELECT {', '.join(f'{n}::{k} AS {n}' for n, k in names)} FROM (VALUES {values}) v({', '.join(n for n, _ in names)})"
+
+
+def _suite_sql() -> str:
+    """Counted from the arities: single atoms, pairs of predicates at all pairs of places, and twice the same predicate."""
+    arities = [(name, i, n) for name, (text, _) in SUITES.items() for i, (_, n) in enumerate(W.predicates(rules(text)))]
+    return (
+        f"WITH a AS ({_table('ontology VARCHAR, i BIGINT, n BIGINT', *arities)}), c AS (SELECT ontology, count(*) + sum(n * (n + 1) // 2) - count(*) FILTER (WHERE n = 1) AS k FROM a GROUP BY ontology), "
+        "d AS (SELECT x.ontology, sum(x.n * y.n) AS k FROM a x JOIN a y ON x.ontology = y.ontology AND x.i < y.i GROUP BY x.ontology) "
+        "SELECT ontology, (c.k + d.k)::BIGINT AS queries, (c.k + d.k)::BIGINT AS same_size FROM c JOIN d USING (ontology)"
+    )
+
+
+#: By hand: w(X,Y) -> e(Y,X); e(X,Y) -> f(X,X,Y); f(X,Y,Y) -> w(Y,X).
+_STEPS = (("w[1]", "e[2]", "s1"), ("w[2]", "e[1]", "s1"), ("e[1]", "f[1]", "s2"), ("e[1]", "f[2]", "s2"), ("e[2]", "f[3]", "s2"), ("f[1]", "w[2]", "s3"), ("f[2]", "w[1]", "s3"), ("f[3]", "w[1]", "s3"))
+
+
 ORACLES = {
-    **{k: _FIN for k in ("finance_certain", "finance_merged", "finance_chase")},
-    "finance_plain": "SELECT DISTINCT a.p_partkey AS a1, l_suppkey AS a2, a.p_brand AS a3 FROM part a JOIN lineitem ON l_partkey = a.p_partkey JOIN supplier ON s_suppkey = l_suppkey WHERE a.p_size > 40 AND l_returnflag = 'A' AND s_acctbal > 3000 AND a.p_type IN ('PROMO', 'ECONOMY') AND a.p_brand IN ('Brand#1', 'Brand#2', 'Brand#3')",
+    **{k: _FIN for k in ("finance_certain", "finance_merged", "finance_chase", "finance_folded", "finance_program")},
+    "finance_plain": _FIN_PLAIN,
     "finance_legal": "SELECT s_suppkey AS a1 FROM supplier WHERE s_acctbal < 0 OR s_acctbal > 3000 UNION SELECT l_suppkey FROM lineitem WHERE l_returnflag IN ('A', 'R')",
     "finance_flat60_metrics": const(size=60, atoms=300, joins_pairs=300),
+    "finance_flat_metrics": const(size=6 * 12 * 2, atoms=5 * 144, joins_pairs=5 * 144),
     "finance_pruned_metrics": const(size=2, atoms=4, joins_pairs=2),
+    "finance_own_pruned_metrics": const(size=3, atoms=6, joins_pairs=3),
     "collab_certain": _COLLAB,
     "collab_chase": _COLLAB,
     "collab_plain": _BASE,
@@ -371,7 +537,7 @@ ORACLES = {
     "catalog_q2": f"SELECT DISTINCT p_partkey AS a1, s_nationkey AS a2 FROM part JOIN ({_SUPP}) ON p = p_partkey JOIN supplier ON s_suppkey = s WHERE p_type = 'LARGE'",
     "catalog_q3": f"SELECT DISTINCT s AS a1, p AS a2 FROM part JOIN ({_SUPP}) ON p = p_partkey WHERE p_type = 'PROMO' AND p_brand = 'Brand#1'",
     "catalog_q4": f"SELECT DISTINCT s AS a1, n_regionkey AS a2 FROM ({_SUPP}) JOIN supplier ON s_suppkey = s JOIN nation ON n_nationkey = s_nationkey",
-    "catalog_q5": f"WITH x AS (SELECT DISTINCT p_partkey AS p, p_type AS k, s_nationkey AS n FROM part JOIN ({_SUPP}) ON p = p_partkey JOIN supplier ON s_suppkey = s) SELECT DISTINCT a.p AS a1, b.p AS a2, n_regionkey AS a3 FROM x a JOIN x b ON a.n = b.n JOIN nation ON n_nationkey = a.n WHERE a.k = 'PROMO' AND b.k = 'STANDARD'",
+    "catalog_q5": f"WITH x AS (SELECT DISTINCT p_type AS k, s_nationkey AS n FROM part JOIN ({_SUPP}) ON p = p_partkey JOIN supplier ON s_suppkey = s) SELECT n_nationkey AS a1, n_regionkey AS a2 FROM nation WHERE n_nationkey IN (SELECT n FROM x WHERE k = 'PROMO') AND n_nationkey IN (SELECT n FROM x WHERE k = 'STANDARD')",
     "conditional_inclusion": "SELECT o_orderkey AS a1 FROM orders WHERE o_orderpriority = '1-URGENT'",
     "head_constant": "SELECT o_orderkey AS a1, 'order' AS a2 FROM orders",
     "lav_rule": "SELECT DISTINCT o_orderpriority AS a1 FROM orders",
@@ -382,18 +548,46 @@ ORACLES = {
     "boolean_ask": "SELECT true AS holds",
     "fd_violations_lineitem": "SELECT count(*) AS groups FROM (SELECT 1 FROM lineitem GROUP BY l_orderkey, l_linenumber HAVING min(l_partkey) <> max(l_partkey))",
     "fd_ok_orders": "SELECT count(*) AS groups FROM (SELECT 1 FROM orders GROUP BY o_orderkey HAVING min(o_custkey) <> max(o_custkey))",
-    "affected_positions": _values("rule, position", ("s1", "p[2]"), ("s1", "t[2]"), ("s1", "t[3]"), ("s2", "p[1]"), ("s2", "t[1]")),
-    "propagation_edges": _values("source, target, label", ("p[1]", "r[1]", "s1"), ("p[2]", "r[2]", "s1"), ("r[1]", "s[1]", "s2"), ("r[2]", "s[2]", "s2"), ("r[2]", "s[3]", "s2"), ("s[1]", "p[1]", "s3"), ("s[2]", "p[1]", "s3"), ("s[3]", "p[2]", "s3")),
+    "affected_positions": _values("rule, position", ("s1", "k[1]"), ("s1", "m[2]"), ("s2", "k[2]"), ("s2", "m[1]")),
+    "propagation_edges": _values("source, target, label", *_STEPS),
     "cover_graph_edges": _values(
-        "source, target, label", ("p[1]", "r[1]", "s1"), ("p[2]", "r[2]", "s1"), ("r[1]", "s[1]", "s2"), ("r[2]", "s[2]", "s2"), ("r[2]", "s[3]", "s2"), ("s[1]", "p[1]", "s3"), ("s[2]", "p[1]", "s3"), ("s[3]", "p[2]", "s3"),
-        ("p[1]", "s[1]", "s1>s2"), ("p[2]", "s[2]", "s1>s2"), ("p[2]", "s[3]", "s1>s2"), ("s[1]", "r[1]", "s3>s1"), ("s[2]", "r[1]", "s3>s1"), ("s[3]", "r[2]", "s3>s1"),
-        ("s[1]", "s[1]", "s3>s1>s2"), ("s[2]", "s[1]", "s3>s1>s2"), ("s[3]", "s[2]", "s3>s1>s2"), ("s[3]", "s[3]", "s3>s1>s2"),
+        "source, target, label", *_STEPS, ("w[1]", "f[3]", "s1>s2"), ("w[2]", "f[1]", "s1>s2"), ("w[2]", "f[2]", "s1>s2"), ("f[1]", "e[1]", "s3>s1"), ("f[2]", "e[2]", "s3>s1"), ("f[3]", "e[2]", "s3>s1"),
+        ("f[1]", "f[1]", "s3>s1>s2"), ("f[1]", "f[2]", "s3>s1>s2"), ("f[2]", "f[3]", "s3>s1>s2"), ("f[3]", "f[3]", "s3>s1>s2"),
     ),
-    "decomposition_components": _values("atoms, head", ("fin_instrument", "A"), ("company,stock_portfolio", "A,B"), ("list_component", "A,C"), ("fin_index", "C")),
-    "elimination_cover_sets": "SELECT atom, covers::BIGINT AS covers, gone FROM (VALUES ('fin_instrument', 2, true), ('stock_portfolio', 0, false), ('company', 1, true), ('list_component', 0, false), ('fin_index', 1, true)) v(atom, covers, gone)",
-    "sticky_marking": "SELECT rule, variable, round::BIGINT AS round FROM (VALUES ('s2', 'Y', 0), ('s2', 'W', 0), ('s1', 'Y', 1)) v(rule, variable, round)",
+    "decomposition_components": _values("atoms, head", ("sellable", "P"), ("delivered,firm", "P,S"), ("labelled", "P,B"), ("brand_line", "B")),
+    "elimination_cover_sets": "SELECT atom, covers::BIGINT AS covers, gone FROM (VALUES ('sellable', 2, true), ('delivered', 0, false), ('firm', 1, true), ('labelled', 0, false), ('brand_line', 1, true)) v(atom, covers, gone)",
+    "sticky_marking": "SELECT rule, variable, round::BIGINT AS round FROM (VALUES ('s1', 'Y', 0), ('s2', 'Z', 0), ('s2', 'X', 1), ('s1', 'X', 2), ('s2', 'Y', 3), ('s1', 'Z', 4)) v(rule, variable, round)",
+    # the doubled atom is redundant, so the pruned union is that of two steps
+    "subsumption_final": const(size=10),
+    "subsumption_component": const(size=10),
+    # the query, t resolved, s resolved, both resolved
+    "piece_vs_backward": const(backward=4, piece=4),
     "chase_backchase": const(plans=1, atoms=1, same=True),
-    "size_bounds": const(within=True),
+    # ten predicates of at most two places, two atoms: (10 (2 2)^2)^2
+    "size_bounds": const(size=77, bound=25600.0, within=True),
+    "family_sticky_sizes": const(largest=4),
+    "generated_suite_summary": _suite_sql(),
+    "rule_set_sizes": _table("ontology VARCHAR, rules BIGINT, constraints BIGINT", ("taxonomy", 222, 0), ("roles", 53, 0), ("staff", 87, 0), ("cliques", 34, 0), ("deep", 154, 19)),
+    "elimination_rows": _table(
+        f"ontology VARCHAR, query INTEGER, {', '.join(f'{p}{c} BIGINT' for p in ('base_', '') for c in ('size', 'atoms', 'joins', 'explored'))}",
+        *(("taxonomy", i, *r[:4], *r[:4]) for i, r in G.TAXONOMY_ROWS.items()), *((n, i, *r) for n, rows in (("roles", G.ROLES_ROWS), ("staff", G.STAFF_ROWS)) for i, r in rows.items()),
+    ),
+    "decomposition_rows": _table(
+        "ontology VARCHAR, query INTEGER, components INTEGER, size BIGINT, explored BIGINT",
+        *(("taxonomy", i, r[4], r[0], r[5]) for i, r in G.TAXONOMY_ROWS.items()), *((n, i, len(u), prod(u), sum(u)) for n, us in (("roles", G.ROLES_UNIONS), ("staff", G.STAFF_UNIONS)) for i, u in us.items()),
+    ),
+    "subsumption_mode_rows": _table(
+        "ontology VARCHAR, query INTEGER, none BIGINT, final BIGINT, component BIGINT, inline BIGINT",
+        *((n, i, x, x, x, x) for n, rows in (("taxonomy", {i: r[0] for i, r in G.TAXONOMY_ROWS.items()}), ("roles", {i: r[4] for i, r in G.ROLES_ROWS.items()}), ("staff", {i: r[4] for i, r in G.STAFF_ROWS.items()}), ("path", {1: 6, 2: 10, 3: 13})) for i, x in rows.items()),
+    ),
+    "clique_metrics": _table("query INTEGER, views INTEGER, flat_size BIGINT", *((i, *r) for i, r in G.CLIQUES_ROWS.items())),
+    "deep_rows": _table("query INTEGER, not_larger BOOLEAN, not_more_explored BOOLEAN, same_pruned BOOLEAN", *((i, True, True, True) for i in (1, 2, 4))),
+    # a class of a tree with a fan of 6 has one cover edge for each level above it; three chains of twenty predicates with five places; paths edge by edge
+    "graph_rows": "WITH t(b) AS (VALUES (14), (9), (23), (2), (36), (4), (4), (2), (1), (222 - 95)) SELECT 'taxonomy' AS ontology, sum(b + 1)::BIGINT AS nodes, sum(b)::BIGINT AS propagation_edges, sum(least(b, 6) + 2 * greatest(0, least(b, 42) - 6) + 3 * greatest(0, b - 42))::BIGINT AS cover_edges, 3::BIGINT AS longest FROM t UNION ALL SELECT 'splitfull', 100, 95, 5 * 190, 19 UNION ALL SELECT 'path', 15, 17, 17 + 4 + 4 + 3, 3",
+    "ontology_gain": " UNION ALL ".join(f"SELECT '{k}' AS ontology, (SELECT count(*) FROM ({c})) AS certain_rows, ({p}) AS plain_rows" for k, c, p in (("finance", _FIN, f"SELECT count(*) FROM ({_FIN_PLAIN})"), ("collab", _COLLAB, f"SELECT count(*) FROM ({_BASE})"), ("trade", _PARTY, "0"))),
+    "answers_against_chase": const(unsound=0, missing=0),
+    "query_graph_nodes": _table("atoms BIGINT, returned BOOLEAN, made_by VARCHAR, n BIGINT", (2, True, "start", 1), (2, True, "r", 2), (1, False, "f", 1)),
+    "rewrite_cq_udtf": _table("atoms INTEGER, joins INTEGER, n BIGINT", (2, 1, 3)),
     "family_linear_sizes": const(size=64),
     "answer_aggregate": f"SELECT a3, count(*) AS n, count(DISTINCT a2) AS companies FROM ({_FIN}) GROUP BY a3",
     "answer_topk": f"SELECT a2, count(*) AS n FROM ({_FIN}) GROUP BY a2 ORDER BY n DESC, a2 LIMIT 10",
