@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-import corpus_pipeline
 from pyspark.sql import functions as F
 
 from ontospark.llm import chat, decontaminate, jaccard_join, langid, line_dedup, lm_score, packing, quality, substring_dedup, topk
+from ontospark.llm import pipeline as stages
 from ontospark.llm._frames import table
 
 
@@ -74,7 +74,7 @@ def op10_lm_score(spark, sf_dir):
 
 
 def pipeline(spark, sf_dir):
-    return corpus_pipeline.run(spark, sf_dir)
+    return stages.run(spark, sf_dir)
 
 
 QUERIES = {
