@@ -7,13 +7,15 @@ import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
 
-import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-#: Rows that a broadcast may hold; beyond it the same join is shuffled.
-BROADCAST_ROWS = 1_000_000
+#: Bytes that a broadcast may hold, with what each row takes there besides its values; beyond it the same join is shuffled.
+BROADCAST_BYTES, ROW_BYTES = 64 << 20, 32
+#: Text that one partition of a dealt corpus takes.
+PART_BYTES = 16 << 20
 _own: list[str] = []
 
 
@@ -25,6 +27,15 @@ def parallelism(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def text_bytes(docs: DataFrame, text: str = "text") -> int:
+    return int(docs.agg(F.coalesce(F.sum(F.octet_length(F.col(text).cast("binary"))), F.lit(0))).first()[0])
+
+
+def parts_for(spark: SparkSession, size: int) -> int:
+    """How many partitions (or buckets) a corpus of so many bytes is dealt over: they grow with it, so none of them does."""
+    return max(parallelism(spark), -(-size // PART_BYTES))
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the cluster names for checkpoints. Only a local session without one gets a folder of its own."""
     named = spark.conf.get("spark.checkpoint.dir", None)
@@ -48,46 +59,26 @@ def cut(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def bounded(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """Mark a cut table for broadcast if its row count is small enough; otherwise leave the join to shuffle."""
-    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+def _width(c: Column, kind: T.DataType) -> Column:
+    if isinstance(kind, T.ArrayType):
+        return F.aggregate(c, F.lit(8).cast("long"), lambda n, x: n + F.coalesce(_width(x, kind.elementType), F.lit(0)))
+    if isinstance(kind, T.StructType):
+        return sum((F.coalesce(_width(c[f.name], f.dataType), F.lit(0)) for f in kind.fields), F.lit(8).cast("long"))
+    return F.octet_length(c).cast("long") + 8 if isinstance(kind, (T.StringType, T.BinaryType)) else F.lit(8).cast("long")
+
+
+def bounded(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """Mark a cut table for broadcast if its values take few enough bytes; otherwise leave the join to shuffle."""
+    row = sum((F.coalesce(_width(F.col(f.name), f.dataType), F.lit(0)) for f in df.schema.fields), F.lit(ROW_BYTES).cast("long"))
+    return F.broadcast(df) if (df.agg(F.sum(row)).first()[0] or 0) <= most else df
 
 
-def sliced(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """Documents dealt by a hash of their id into slices of a few MB (four to a shuffle partition); the text as bytes."""
-    n = parallelism(docs.sparkSession)
+def sliced(docs: DataFrame, text: str = "text", key: str = "doc_id") -> tuple[DataFrame, int]:
+    """Documents dealt by a hash of their id into slices of a few MB (four to a partition), the text as bytes; and the number of partitions."""
+    n = parts_for(docs.sparkSession, text_bytes(docs, text))
     return docs.select(
         F.col(key).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("body"), F.pmod(F.xxhash64(F.col(key)), F.lit(4 * n)).cast("int").alias("slice")
-    ).repartition(n, "slice")
-
-
-class Dealer:
-    """Collects fixed-width records and deals them by hash into one blob per bucket."""
-
-    def __init__(self, buckets: int, fields: dict[str, pa.DataType], flush_bytes: int = 1 << 24):
-        self.buckets, self.fields, self.limit = buckets, fields, flush_bytes
-        self.parts: list[np.ndarray] = []
-        self.size = 0
-
-    def add(self, records: np.ndarray) -> None:
-        if len(records):
-            self.parts.append(records)
-            self.size += records.nbytes
-
-    def full(self) -> bool:
-        return self.size >= self.limit
-
-    def drain(self, key: str) -> tuple[list[int], list[bytes]]:
-        if not self.parts:
-            return [], []
-        all_ = np.concatenate(self.parts)
-        self.parts, self.size = [], 0
-        bucket = (all_[key] >> np.uint64(32)) % np.uint64(self.buckets)
-        order = np.argsort(bucket, kind="stable")
-        all_, bucket = all_[order], bucket[order]
-        cuts = np.flatnonzero(np.diff(bucket)) + 1
-        bounds = np.concatenate([[0], cuts, [len(all_)]])
-        return [int(bucket[i]) for i in bounds[:-1]], [all_[i:j].tobytes() for i, j in zip(bounds[:-1], bounds[1:], strict=True)]
+    ).repartition(n, "slice"), n
 
 
 def rows_of(batches: Iterable[pa.RecordBatch], *names: str) -> Iterator[tuple]:

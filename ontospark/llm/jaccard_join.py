@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ontospark.llm._frames import batch, bounded, cut, parallelism, rows_of
+from ontospark.llm._frames import batch, bounded, cut, parts_for, rows_of, text_bytes
 from ontospark.llm._text import LOWER, mix, shingle_set
 from ontospark.llm.components import components
 from ontospark.plans.ship import ship
@@ -454,9 +454,9 @@ def similar(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     """
     spark = docs.sparkSession
     ship(spark)
-    buckets = parallelism(spark)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
-    size = src.agg(F.coalesce(F.sum(F.octet_length("body")), F.lit(0))).first()[0]
+    size = text_bytes(src, "body")
+    buckets = parts_for(spark, size)
     bits = min(MOST_BITS, max(LEAST_BITS, int(size // (6 * LOAD)).bit_length()))
     slices = 1 << min(8, buckets.bit_length())
     both = cut(src.mapInArrow(_nodes(n, bits, slices), "doc_id long, n_shingles long, node long, slice int, counts binary"))

@@ -1,16 +1,20 @@
-"""Substring deduplication by prefix-partitioned suffix groups.
-
-Every window of 20 words is the head of one suffix. Suffixes are split twice by variable-length prefixes:
-
-1. by an 8-word prefix: each window is named by the least-hashed 8-word run inside it, so only about one
-   suffix in seven is sent. A group of one suffix cannot repeat and is closed.
-2. the suffixes of groups that stay open are split by their whole 20-word prefix (two 64-bit hashes). One
-   such group is exactly a node of the suffix tree at depth 20 or more: its earliest leaf stays, and windows
-   at its later leaves are removed. Adjacent windows join into maximal repeats when words are marked.
-
-The tree of a group is kept in sorted-leaf form (numpy), labels are hashes. Groups are dealt over buckets and
-each slice of documents sends a group once, so a run that a third of all documents share costs one record for
-each slice and no task holds all its copies.
+"""Substring deduplication by prefix-partitioned groups of sparse suffixes.
+
+A window of 20 words is filed under one suffix: the one that starts at the least-hashed 8-word run inside the window
+(its anchor). Equal windows have equal anchors at equal distances, so the suffixes that start at anchors, about one in
+seven, are enough. Suffixes are split by prefixes of variable length into groups that fit a task:
+
+1. by their first 8 words. Each slice of documents sends how many windows it files under each prefix; a prefix with
+   one window in all cannot repeat and is closed.
+2. an open prefix with at most GROUP windows is a group of its own. One with more is split further, by the window as
+   a whole (the suffix's prefix with what stands before the anchor).
+
+A group's leaves are sorted by the label of their window, then by place. Neighbours with equal labels have a common
+prefix of 20 words or more, so each run of equal labels is one deep internal node of the group's tree: its earliest
+leaf stays, and windows at its later leaves are removed. Adjacent windows join into maximal repeats when words are
+marked. Labels are hashes (96 bits): a leaf that carried the 20 words that follow it would take 27 times the text.
+Each slice sends a node once, with its earliest leaf, so a passage that a third of all documents share costs one
+record for each slice, and no task holds all its copies.
 """
 
 from __future__ import annotations
@@ -22,16 +26,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ontospark.llm._frames import batch, parallelism, rows_of, sliced
+from ontospark.llm._frames import batch, rows_of, sliced
 from ontospark.llm._text import grams, sliding_min, spans, word_hashes
 from ontospark.plans.ship import ship
 
 WINDOW = 20
 PREFIX = 8
+#: Windows under one prefix that one group takes.
+GROUP = 1 << 18
 _SECOND = 0xD1342543DE82EF95
-_OPEN = np.dtype([("v", "<u8"), ("f", "u1")])
-_LEAF = np.dtype([("h", "<u8"), ("g", "<u8"), ("doc", "<i8"), ("pos", "<i8")])
-_NODE = np.dtype([("h", "<u8"), ("g", "<u8")])
+_OPEN = np.dtype([("v", "<u8"), ("n", "<u4")])
+_FOUND = np.dtype([("v", "<u8"), ("large", "u1")])
+_LEAF = np.dtype([("h", "<u8"), ("g", "<u4"), ("doc", "<i8"), ("pos", "<i8")])
+_NODE = np.dtype([("h", "<u8"), ("g", "<u4")])
 _MOVED = pa.schema([("bucket", pa.int32()), ("slice", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())])
 
 
@@ -41,12 +48,30 @@ def _anchors(h: np.ndarray, window: int, prefix: int) -> tuple[np.ndarray, np.nd
     return sliding_min(g, window - prefix + 1), g
 
 
-def _deal(records: np.ndarray, key: str, buckets: int, slice_: int, kind: int) -> list[tuple]:
-    b = (records[key] >> np.uint64(32)) % np.uint64(buckets)
+def _pack(records: np.ndarray) -> bytes:
+    """Field after field, which packs better than row after row."""
+    return b"".join(np.ascontiguousarray(records[f]).tobytes() for f in records.dtype.names)
+
+
+def _unpack(blob: bytes, kind: np.dtype) -> np.ndarray:
+    n, at = len(blob) // kind.itemsize, 0
+    out = np.zeros(n, kind)
+    for f in kind.names:
+        out[f] = np.frombuffer(blob, kind[f], n, at)
+        at += n * kind[f].itemsize
+    return out
+
+
+def _unpacked(blobs: list[bytes], kind: np.dtype) -> np.ndarray:
+    return np.concatenate([_unpack(b, kind) for b in blobs]) if blobs else np.zeros(0, kind)
+
+
+def _deal(records: np.ndarray, key: np.ndarray, buckets: int, slice_: int, kind: int) -> list[tuple]:
+    b = (key >> np.uint64(32)) % np.uint64(buckets)
     order = np.argsort(b, kind="stable")
     records, b = records[order], b[order]
     bounds = np.concatenate([[0], np.flatnonzero(np.diff(b)) + 1, [len(b)]]) if len(b) else [0]
-    return [(int(b[i]), slice_, kind, records[i:j].tobytes()) for i, j in zip(bounds[:-1], bounds[1:], strict=True)]
+    return [(int(b[i]), slice_, kind, _pack(records[i:j])) for i, j in zip(bounds[:-1], bounds[1:], strict=True)]
 
 
 def _moved(rows: list[tuple]) -> pa.Table:
@@ -55,62 +80,76 @@ def _moved(rows: list[tuple]) -> pa.Table:
 
 def _send_prefixes(window: int, prefix: int, buckets: int):
     def of(group: pa.Table) -> pa.Table:
-        seen, inner, slice_ = [], [], 0
+        seen, much, slice_ = [], [], 0
         for slice_, body in zip(group.column("slice").to_pylist(), group.column("body").to_pylist(), strict=True):
             h = word_hashes(*spans(body or b""))
             if len(h) >= window:
                 a, g = _anchors(h, window, prefix)
-                seen.append(np.unique(a[np.concatenate([[True], a[1:] != a[:-1]])]))
+                head = np.flatnonzero(np.concatenate([[True], a[1:] != a[:-1]]))
+                seen.append(a[head])
+                # windows with one anchor at one place are different windows: a stretch counts once unless its anchor occurs again
                 s = np.sort(g)
-                inner.append(np.unique(s[1:][s[1:] == s[:-1]]))
+                again = np.unique(s[1:][s[1:] == s[:-1]])
+                much.append(np.where(np.isin(a[head], again), np.diff(np.append(head, len(a))) + 1, 1))
         if not seen:
             return _moved([])
-        v, n = np.unique(np.concatenate(seen), return_counts=True)
+        v, back = np.unique(np.concatenate(seen), return_inverse=True)
         out = np.zeros(len(v), _OPEN)
-        out["v"], out["f"] = v, (n > 1) | np.isin(v, np.concatenate(inner))
-        return _moved(_deal(out, "v", buckets, slice_, 0))
+        out["v"], out["n"] = v, np.minimum(np.bincount(back, weights=np.concatenate(much)), 0xFFFFFFFF).astype(np.uint32)
+        return _moved(_deal(out, v, buckets, slice_, 0))
 
     return of
 
 
-def _open_prefixes(batches):
-    """Of a bucket's prefix groups, those with more than one suffix go back to the slices that hold them."""
-    got = [(s, np.frombuffer(b, _OPEN)) for s, b in rows_of(batches, "slice", "blob")]
-    if got:
-        all_ = np.concatenate([x for _, x in got])
-        v, back, n = np.unique(all_["v"], return_inverse=True, return_counts=True)
-        flag = np.zeros(len(v), bool)
-        np.logical_or.at(flag, back, all_["f"] > 0)
-        stay = ((n > 1) | flag)[back]
-        at, rows = 0, []
-        for s, x in got:
-            if len(keep := x["v"][stay[at : at + len(x)]]):
-                rows.append((0, s, 1, keep.tobytes()))
-            at += len(x)
-        yield from _moved(rows).to_batches()
+def _open_prefixes(group: int):
+    """Of a bucket's prefixes, those with more than one suffix go back to the slices that hold them, and whether they are split further."""
+
+    def of(batches):
+        got = [(s, _unpack(b, _OPEN)) for s, b in rows_of(batches, "slice", "blob")]
+        if got:
+            v, back = np.unique(np.concatenate([x["v"] for _, x in got]), return_inverse=True)
+            total = np.bincount(back, weights=np.concatenate([x["n"] for _, x in got]))[back]
+            at, rows = 0, []
+            for s, x in got:
+                n = total[at : at + len(x)]
+                at += len(x)
+                keep = np.zeros(int((n > 1).sum()), _FOUND)
+                if len(keep):
+                    keep["v"], keep["large"] = x["v"][n > 1], n[n > 1] * WINDOW > group
+                    rows.append((0, s, 1, _pack(keep)))
+            yield from _moved(rows).to_batches()
+
+    return of
 
 
 def _leaves(docs: list[tuple], opened: np.ndarray, window: int, prefix: int) -> np.ndarray:
-    """Suffixes of open prefix groups: both hashes, document and start; row is the place in docs."""
-    out = []
+    """Suffixes of open prefixes: labels, document and start; row is the place in docs, key what the leaf is dealt by."""
+    out, kind = [], np.dtype([*_LEAF.descr, ("row", "<i8"), ("key", "<u8")])
     for row, (doc, _, h) in enumerate(docs):
         if len(h) < window:
             continue
         a, _ = _anchors(h, window, prefix)
         run = np.concatenate([[True], a[1:] != a[:-1]])
         head = a[run]
-        at = np.minimum(np.searchsorted(opened, head), len(opened) - 1)
-        p = np.flatnonzero((opened[at] == head)[np.cumsum(run) - 1])
+        at = np.minimum(np.searchsorted(opened["v"], head), len(opened) - 1)
+        mine = np.cumsum(run) - 1
+        p = np.flatnonzero((opened["v"][at] == head)[mine])
         if len(p):
-            x = np.zeros(len(p), [*_LEAF.descr, ("row", "<i8")])
-            x["h"], x["g"], x["doc"], x["pos"], x["row"] = grams(h, window)[p], grams(h, window, _SECOND)[p], doc, p, row
+            x = np.zeros(len(p), kind)
+            x["h"], x["g"], x["doc"], x["pos"], x["row"] = grams(h, window)[p], grams(h, window, _SECOND)[p] >> np.uint64(32), doc, p, row
+            x["key"] = np.where(opened["large"][at][mine[p]] > 0, x["h"], a[p])
             out.append(x)
     if not out:
-        return np.zeros(0, [*_LEAF.descr, ("row", "<i8")])
+        return np.zeros(0, kind)
     x = np.concatenate(out)
     return x[np.lexsort((x["pos"], x["doc"], x["g"], x["h"]))]
 
 
+def _opened(blobs: list[bytes]) -> np.ndarray:
+    x = _unpacked(blobs, _FOUND)
+    return x[np.argsort(x["v"], kind="stable")]
+
+
 def _firsts(x: np.ndarray) -> np.ndarray:
     """Where a new node starts among sorted leaves."""
     return np.concatenate([[True], (x["h"][1:] != x["h"][:-1]) | (x["g"][1:] != x["g"][:-1])]) if len(x) else np.zeros(0, bool)
@@ -135,17 +174,16 @@ def _send_leaves(window: int, prefix: int, buckets: int):
         docs, slice_, blobs = _read(left, right, keep=False)
         if not blobs[1]:
             return _moved([])
-        opened = np.sort(np.frombuffer(b"".join(blobs[1]), "<u8"))
-        x = _leaves([(_NULL if d is None else d, t, h) for d, t, h in docs], opened, window, prefix)
-        first = x[_firsts(x)][list(_LEAF.names)]
-        return _moved(_deal(np.ascontiguousarray(first).astype(_LEAF), "h", buckets, slice_, 0))
+        x = _leaves([(_NULL if d is None else d, t, h) for d, t, h in docs], _opened(blobs[1]), window, prefix)
+        first = x[_firsts(x)]
+        return _moved(_deal(first[list(_LEAF.names)], first["key"], buckets, slice_, 0))
 
     return of
 
 
 def _later_nodes(batches):
     """Of nodes with leaves in several slices, the slices without the earliest leaf learn that all their leaves are later."""
-    got = [(s, np.frombuffer(b, _LEAF)) for s, b in rows_of(batches, "slice", "blob")]
+    got = [(s, _unpack(b, _LEAF)) for s, b in rows_of(batches, "slice", "blob")]
     if got:
         x = np.concatenate([x for _, x in got])
         owner = np.repeat(np.arange(len(got)), [len(x) for _, x in got])
@@ -160,7 +198,7 @@ def _later_nodes(batches):
             if j > i:
                 node = np.zeros(j - i, _NODE)
                 node["h"], node["g"] = x["h"][i:j], x["g"][i:j]
-                rows.append((0, got[owner[i]][0], 2, node.tobytes()))
+                rows.append((0, got[owner[i]][0], 2, _pack(node)))
         yield from _moved(rows).to_batches()
 
 
@@ -187,23 +225,17 @@ def _finish(window: int, prefix: int, digest: bool):
         docs, _, blobs = _read(left, right, keep=True)
         gone = [np.zeros(len(h) + 1, np.int32) for _, _, h in docs]
         if blobs[1]:
-            opened = np.sort(np.frombuffer(b"".join(blobs[1]), "<u8"))
-            x = _leaves([(_NULL if d is None else d, t, h) for d, t, h in docs], opened, window, prefix)
+            x = _leaves([(_NULL if d is None else d, t, h) for d, t, h in docs], _opened(blobs[1]), window, prefix)
             first = _firsts(x)
             if len(x):
                 node = np.cumsum(first) - 1
                 head = x[first]
                 late = (x["doc"] != head["doc"][node]) | (x["pos"] != head["pos"][node])
                 if blobs[2]:
-                    told = np.frombuffer(b"".join(blobs[2]), _NODE)
-                    told = told[np.argsort(told["h"], kind="stable")]
-                    at = np.searchsorted(told["h"], head["h"])
-                    known = np.zeros(len(head), bool)
-                    for _ in range(4):  # equal first hashes with unlike second ones lie side by side
-                        ok = at < len(told)
-                        i = np.minimum(at, len(told) - 1)
-                        known |= ok & (told["h"][i] == head["h"]) & (told["g"][i] == head["g"])
-                        at = at + 1
+                    told = _unpacked(blobs[2], _NODE)
+                    both = np.concatenate([head[["h", "g"]].astype(_NODE), told])
+                    _, name = np.unique(both, return_inverse=True)
+                    known = np.isin(name[: len(head)], name[len(head) :])
                     late |= known[node]
                 for row, pos in zip(x["row"][late].tolist(), x["pos"][late].tolist(), strict=True):
                     gone[row][pos] += 1
@@ -237,10 +269,9 @@ def drop_repeats(docs: DataFrame, window: int = WINDOW, prefix: int = PREFIX, di
     count as the same document, so neither removes the other. A null doc_id sorts first. No rows: no rows.
     """
     ship(docs.sparkSession)
-    n = parallelism(docs.sparkSession)
     moved = "bucket int, slice int, kind int, blob binary"
-    parts = sliced(docs)
-    opened = parts.groupBy("slice").applyInArrow(_send_prefixes(window, prefix, n), moved).repartition(n, "bucket").mapInArrow(_open_prefixes, moved).repartition(n, "slice")
+    parts, n = sliced(docs)
+    opened = parts.groupBy("slice").applyInArrow(_send_prefixes(window, prefix, n), moved).repartition(n, "bucket").mapInArrow(_open_prefixes(GROUP), moved).repartition(n, "slice")
     leaves = parts.groupBy("slice").cogroup(opened.groupBy("slice")).applyInArrow(_send_leaves(window, prefix, n), moved)
     later = leaves.repartition(n, "bucket").mapInArrow(_later_nodes, moved).repartition(n, "slice")
     back = opened.unionByName(later).repartition(n, "slice")

@@ -9,6 +9,7 @@ from collections import Counter
 from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -56,7 +57,9 @@ def test_word_hashes_and_grams():
     assert (hashed_words(b"ab " * 2_000_000) == hashed_words(b"ab")[0]).all()
 
 
-def test_substring_dedup(spark):
+@pytest.mark.parametrize("group", [substring_dedup.GROUP, 1])
+def test_substring_dedup(spark, group, monkeypatch):
+    monkeypatch.setattr(substring_dedup, "GROUP", group)
     rows = corpus()
     seen, want = {}, {}
     for d, t in rows:
@@ -77,6 +80,32 @@ def test_substring_dedup(spark):
     assert substring_dedup.drop_repeats(frame(spark, [])).count() == 0
 
 
+def test_groups_of_a_prefix_are_bounded():
+    rng = random.Random(2)
+    # an 8-word run that all documents hold, each time with other words around it, with so small a hash that it is the anchor
+    often = min((" ".join(f"o{k}_{i}" for i in range(8)) for k in range(300)), key=lambda t: int(grams(hashed_words(t.encode()), 8)[0]))
+    docs = [(i, None, hashed_words(f"{' '.join(f'x{rng.randrange(10**6)}' for _ in range(20))} {often} {' '.join(f'y{rng.randrange(10**6)}' for _ in range(20))}".encode())) for i in range(400)]
+    sent = [substring_dedup._send_prefixes(20, 8, 1)(pa.table({"slice": [s] * 100, "body": [b""] * 100})) for s in range(2)]
+    assert all(t.num_rows == 0 for t in sent)
+    for group, bounded in ((1000, True), (10**9, False)):
+        v = np.unique(np.concatenate([substring_dedup._anchors(h, 20, 8)[0] for *_, h in docs]))
+        n = Counter(x for *_, h in docs for x in substring_dedup._anchors(h, 20, 8)[0].tolist())
+        x = np.zeros(len(v), substring_dedup._OPEN)
+        x["v"], x["n"] = v, [n[int(i)] for i in v]
+        blob = pa.RecordBatch.from_pydict({"slice": [0], "blob": [substring_dedup._pack(x)]})
+        (back,) = [b for b in substring_dedup._open_prefixes(group)([blob])]
+        leaves = substring_dedup._leaves(docs, substring_dedup._opened(back.column("blob").to_pylist()), 20, 8)
+        largest = max(Counter(leaves["key"].tolist()).values())
+        assert (largest <= group) if bounded else largest > 1000
+    assert (np.diff(leaves["h"].astype(float)) >= 0).all()  # leaves are sorted by label, nodes are runs
+
+
+def test_blobs_are_packed_by_field():
+    x = np.zeros(5, substring_dedup._LEAF)
+    x["h"], x["g"], x["doc"], x["pos"] = np.arange(5) + 2**63, np.arange(5), -np.arange(5), 7
+    assert (substring_dedup._unpack(substring_dedup._pack(x), substring_dedup._LEAF) == x).all()
+
+
 def test_line_dedup(spark):
     rows = corpus()
     lines = {d: (t.split("\n") if t is not None else []) for d, t in rows}
