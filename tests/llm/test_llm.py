@@ -102,7 +102,7 @@ def test_groups_of_a_prefix_are_bounded():
 
 def test_blobs_are_packed_by_field():
     x = np.zeros(5, substring_dedup._LEAF)
-    x["h"], x["g"], x["doc"], x["pos"] = np.arange(5) + 2**63, np.arange(5), -np.arange(5), 7
+    x["h"], x["g"], x["doc"], x["pos"] = np.arange(5).astype(np.uint64) + np.uint64(2**63), np.arange(5), -np.arange(5), 7
     assert (substring_dedup._unpack(substring_dedup._pack(x), substring_dedup._LEAF) == x).all()
 
 
@@ -482,26 +482,115 @@ def test_lm_score(spark):
     assert lm_score.score_documents(frame(spark, rows[:5]), lambda d: d > 10**6).count() == 5
 
 
+SLOTS = 18
+
+
 def test_bit_predictions_sum_to_one():
-    z = np.zeros(1, int)
-    zeros, ones = np.zeros(1 << lm_score.SLOTS), np.zeros(1 << lm_score.SLOTS)
-    lm_score.count_bits(np.frombuffer(b"abcab", np.uint8), np.array([3, 2]), np.zeros(2, int), np.array([5, 3]), zeros, ones)
+    z = np.zeros(2, int)
+    zeros, ones = np.zeros(1 << SLOTS), np.zeros(1 << SLOTS)
+    body, length = np.frombuffer(b"abcab", np.uint8), np.array([3, 2])
+    lm_score.count_bits(body, length, z, np.array([5, 3]), zeros, ones)
     m = lm_score.Mixer(zeros, ones, 0.1)
-    total = sum(10 ** m.log10(np.array([b], np.uint8), np.array([1]), z)[0] for b in range(256))
-    assert total < 1  # each byte is followed by a space, which leaves room for longer words
-    first = sum(10 ** (m.log10(np.array([b], np.uint8), np.array([1]), z)[0]) for b in (97,))
-    assert first > 0
+    m.learn(body, length, z, np.array([5.0, 3.0]))
+    s, _, c = lm_score.symbols(body, length, z)
+    for k, likeliest in enumerate(b"abc abc"):  # after every prefix the 256 next bytes share one; "abc" is more frequent than "ab"
+        p = 10 ** m.symbol_log10(np.arange(256, dtype=np.uint8), np.repeat(c[:, k : k + 1], 256, 1))
+        assert abs(p.sum() - 1) < 1e-5 and p.argmax() == likeliest
+    assert abs(m.log10(body, length, z).sum() - m.symbol_log10(s, c).sum()) < 1e-9
+
+
+def slow_word(text, z, table, bits, weights, map_):
+    """log10 bitwise probability of one word, step by step in plain Python; with weights None its (slot, bit) pairs for each context."""
+    M, s = 0xFFFFFFFF, [*text.encode(), 32]
+    total, pairs = 0.0, []
+    for at, symbol in enumerate(s):
+        past = [s[at - k - 1] if at > k else 0 for k in range(4)]
+        run = sum((x + 1) * pow(0x9E3779B97F4A7C15, i, 1 << 64) for i, x in enumerate(s[:at])) % (1 << 64)
+        x = run ^ (run >> 30)
+        x = x * 0xBF58476D1CE4E5B9 % (1 << 64)
+        x ^= x >> 27
+        x = x * 0x94D049BB133111EB % (1 << 64)
+        x ^= x >> 31
+        c = [min(at, 3)]
+        for p in past:
+            c.append(((c[-1] if len(c) > 1 else 0) << 8 | p) & M)
+        c.append(x >> 32)
+        contexts = []
+        for k, v in enumerate(c):
+            h = (v + (0x9E3779B1 * (k + 1) & M) + z * 0x3C6EF372) * 0x85EBCA6B & M
+            contexts.append((h ^ h >> 13) * 0xC2B2AE35 & M)
+        partial = 1
+        for b in range(7, -1, -1):
+            bit, ins, seen = symbol >> b & 1, [], 0
+            for v in contexts:
+                h = (v ^ (partial * 0x27D4EB2F & M)) * 0x165667B1 & M
+                i = ((h ^ h >> 15) * 0x9E3779B1 & M) >> 32 - bits
+                pairs.append((i, bit))
+                n0, n1 = table[i]
+                seen = n0 + n1
+                ins.append(max(-12, min(12, math.log((n1 + 0.05) / (n0 + 0.05)) * min(1, seen / 2))))
+            if weights is not None:
+                gate = min(15, int(math.log2(1 + seen)))
+                y = sum(w * x for w, x in zip(weights[gate], [*ins, 1.0], strict=True))
+                spot = (max(-7.999, min(7.999, y)) + 8) * 2
+                lo = int(spot)
+                refined = map_[gate][lo] * (1 - spot + lo) + map_[gate][lo + 1] * (spot - lo)
+                p = min(1 - 1e-6, max(1e-6, 0.5 / (1 + math.exp(-max(-30, min(30, y)))) + 0.5 * refined))
+                total += math.log10(p if bit else 1 - p)
+            partial = partial << 1 | bit
+    return pairs if weights is None else total
+
+
+def test_lm_score_equals_brute_force(spark, monkeypatch):
+    rng = random.Random(3)
+    rows = [(i, " ".join(f"{rng.choice('ab')}{rng.choice(['la', 'Lo', 'é', 'x' * 9])}{rng.randrange(4)}" for _ in range(rng.randint(0, 12)))) for i in range(60)] + [(61, None)]
+    train = lambda d: d < 40
+    held = {}
+    fit, merge, score = lm_score.fit_classes, lm_score.merged, lm_score._score_words
+    monkeypatch.setattr(lm_score, "fit_classes", lambda *a: held.setdefault("classes", fit(*a)))
+    monkeypatch.setattr(lm_score, "merged", lambda model, learned: (merge(model, learned), held.setdefault("model", model))[0])
+    monkeypatch.setattr(lm_score, "_score_words", lambda share, sizes: held.update(share=share) or score(share, sizes))
+    got = {r.doc_id: r.score for r in lm_score.score_documents(frame(spark, rows), train).collect()}
+    classes, model, share = held["classes"], held["model"], held["share"]
+    of = {}
+    for d, t in rows:
+        bags = [int(h) >> 64 - lm_score.CLASS_BITS for h in hashed_words((t or "").encode().translate(LOWER))]
+        of[d] = max(range(lm_score.CLASSES), key=lambda z: (classes.prior[z] + sum(float(classes.theta[z, b]) for b in bags), -z))
+    count = Counter((w, of[d]) for d, t in rows if d < 40 for w in words(t, True))
+    table = [[0.0, 0.0] for _ in range(1 << model.bits)]
+    for (w, z), n in count.items():
+        for i, bit in slow_word(w, z, table, model.bits, None, None):
+            table[i][bit] += n
+    sizes = Counter()
+    for (_, z), n in count.items():
+        sizes[z] += n
+    total = sum(sizes.values())
+    p_end = (40 + 1) / (total + 40 + 2)
+    known = {}
+    for d, t in rows:
+        ws, want = words(t, True), float(classes.log10_prior[of[d]]) + math.log10(p_end)
+        for w in ws:
+            key = (w, of[d])
+            if key not in known:
+                bits = slow_word(w, of[d], table, model.bits, model.weights.tolist(), model.map.tolist())
+                known[key] = math.log10(share * count[key] / max(1, sizes[of[d]]) + (1 - share) * 10**bits)
+            want += known[key] + math.log10(1 - p_end)
+        assert abs(got[d] - want) < 1e-3 * (1 + len(ws)), d
+
+
+def test_slots_follow_the_lexicon():
+    assert [lm_score.slot_bits(n) for n in (0, 10**4, 10**5, 10**9)] == [16, 17, 21, lm_score.MOST_SLOTS]
 
 
 def test_rare_words_count_in_all_contexts():
     body, length, z = np.frombuffer(b"abcdef", np.uint8), np.array([6]), np.zeros(1, int)
     for weight in (1, 2, 3):
-        zeros, ones = np.zeros(1 << lm_score.SLOTS), np.zeros(1 << lm_score.SLOTS)
+        zeros, ones = np.zeros(1 << SLOTS), np.zeros(1 << SLOTS)
         lm_score.count_bits(body, length, z, np.array([weight]), zeros, ones)
         assert zeros.sum() + ones.sum() == weight * 7 * 8 * lm_score.ORDERS
         s, _, c = lm_score.symbols(body, length, z)
         for k in range(lm_score.ORDERS):
-            i = lm_score.slots(c[k], np.ones(len(s), np.uint32))
+            i = lm_score.slots(c[k], np.ones(len(s), np.uint32), SLOTS)
             assert (zeros[i] + ones[i] >= weight).all()
 
 
@@ -511,7 +600,7 @@ def test_classes_and_mixer_learn_from_all_rows(spark, monkeypatch):
     classes = lm_score.fit_classes(frame(spark, rows), lambda d: d.isNotNull())
     n = np.rint(np.exp(classes.prior) * (len(rows) + lm_score.CLASSES) - 1)
     assert n.sum() == len(rows)  # every training document is in a class
-    tables = SimpleNamespace(value=np.zeros((2, 1 << lm_score.SLOTS)))
+    tables = SimpleNamespace(value=np.zeros((2, 1 << SLOTS)))
     lex = lm_score.batch(lm_score._LEX_PA, [[0], [np.arange(3, dtype="<u8").tobytes()], [np.array([1, 9, 0], "<i8").tobytes()], [np.full(3, 2, "<i4").tobytes()], [b"aabbcc"]])
     (got,) = [b.to_pylist()[0] for b in lm_score._learn(tables, 0.1)([lex])]
     assert abs(np.frombuffer(got["saw"], "<f8").sum() - 10 * 3 * 8) < 1e-6  # each of the ten training tokens, bit by bit
