@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 from ontospark.llm._frames import batch, rows_of
 from ontospark.plans.ship import ship
 
-#: Labelled documents that one fit uses at most, picked by a hash of their id.
-SAMPLE = 4000
+#: Labelled documents that one fit uses at most, picked by a hash of their id, and the bytes that their subwords may take on the driver.
+SAMPLE, SAMPLE_BYTES = 4000, 256 << 20
 BITS = 15
 DIM = 8
 PIECE = 1 << 20
@@ -69,7 +69,20 @@ class Model:
         return self.langs[k], float(p[k] / p.sum())
 
 
+def subwords(raw: bytes) -> bytes:
+    """Distinct buckets of a whole text, and how often each occurs."""
+    n = np.zeros(1 << BITS, np.int64)
+    for lo in range(0, max(1, len(raw)), PIECE):
+        n += np.bincount(buckets(raw[lo : lo + PIECE]), minlength=1 << BITS)
+    u = np.flatnonzero(n)
+    return u.astype("<u2").tobytes() + n[u].astype("<u4").tobytes()
+
+
 def fit(texts: list[bytes], langs: list[str], epochs: int = 6, seed: int = 11) -> Model:
+    return fit_subwords([subwords(t) for t in texts], langs, epochs, seed)
+
+
+def fit_subwords(bags: list[bytes], langs: list[str], epochs: int = 6, seed: int = 11) -> Model:
     names = sorted(set(langs))
     if not names:
         return Model([], np.zeros((1 << BITS, 0), np.float32), np.zeros(0), 1.0, 0.0)
@@ -78,9 +91,10 @@ def fit(texts: list[bytes], langs: list[str], epochs: int = 6, seed: int = 11) -
     e = rng.normal(0, 0.1, (1 << BITS, DIM)).astype(np.float32)
     w, bias = rng.normal(0, 0.1, (DIM, len(names))).astype(np.float32), np.zeros(len(names), np.float32)
     docs = []
-    for t in texts:
-        u, c = np.unique(buckets(t), return_counts=True)
-        docs.append((u, (c / max(1, c.sum())).astype(np.float32)))
+    for t in bags:
+        k = len(t) // 6
+        u, c = np.frombuffer(t, "<u2", k), np.frombuffer(t, "<u4", k, 2 * k)
+        docs.append((u.astype(np.int64), (c / max(1, c.sum())).astype(np.float32)))
     held = np.arange(len(y)) % 5 == 4
     seen = np.flatnonzero(~held)
     for epoch in range(epochs):
@@ -108,13 +122,38 @@ def fit(texts: list[bytes], langs: list[str], epochs: int = 6, seed: int = 11) -
     return Model(names, table.astype(np.float32), bias.astype(float), float(best), threshold)
 
 
-def train(docs: DataFrame, sample: int = SAMPLE) -> Model:
-    """Fit on at most `sample` documents with a language, whole texts; rows without id, text or language are left out."""
-    with_lang = docs.where("doc_id IS NOT NULL AND text IS NOT NULL AND lang IS NOT NULL")
-    picked = with_lang.select(F.col("doc_id").cast("long").alias("doc_id")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).distinct()
-    rows = with_lang.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", F.col("text").cast("binary").alias("body")).join(F.broadcast(picked), "doc_id").select("doc_id", "lang", "body").limit(2 * sample)
-    got = sorted((r[0], r[1], bytes(r[2])) for r in rows.toLocalIterator())
-    return fit([r[2] for r in got], [r[1] for r in got])
+_BAG = pa.schema([("doc_id", pa.int64()), ("lang", pa.string()), ("bag", pa.binary())])
+
+
+def _bags(batches):
+    for b in batches:
+        rows = [(d, k, subwords(body)) for d, k, body in rows_of([b], "doc_id", "lang", "body")]
+        yield batch(_BAG, [list(c) for c in zip(*rows, strict=True)] or [[], [], []])
+
+
+def train(docs: DataFrame, sample: int = SAMPLE, most_bytes: int = SAMPLE_BYTES) -> Model:
+    """Fit on at most `sample` documents with a language, whole texts; rows without id, text or language are left out.
+
+    Documents are taken in the order of a hash of their id, as long as their subwords fit most_bytes together. Of rows
+    that repeat id and language, one is taken, the same each time.
+    """
+    ship(docs.sparkSession)
+    with_lang = docs.where("doc_id IS NOT NULL AND text IS NOT NULL AND lang IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "lang", F.col("text").cast("binary").alias("body"))
+    first = with_lang.select("doc_id", "lang", F.least(F.octet_length("body") * 3, F.lit(1 << BITS)).alias("n")).orderBy(F.xxhash64("doc_id"), "doc_id", "lang", F.desc("n")).limit(sample)
+    picked, total = [], 0
+    for r in first.collect():
+        if picked[-1:] == [(r["doc_id"], r["lang"])]:
+            continue
+        total += 6 * r["n"]
+        if picked and total > most_bytes:
+            break
+        picked.append((r["doc_id"], r["lang"]))
+    if not picked:
+        return fit_subwords([], [])
+    chosen = F.broadcast(docs.sparkSession.createDataFrame(picked, "doc_id long, lang string"))
+    bags = with_lang.join(chosen, ["doc_id", "lang"]).mapInArrow(_bags, "doc_id long, lang string, bag binary").groupBy("doc_id", "lang").agg(F.min("bag").alias("bag"))
+    got = sorted((r[0], r[1], bytes(r[2])) for r in bags.toLocalIterator())
+    return fit_subwords([r[2] for r in got], [r[1] for r in got])
 
 
 _OUT = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64()), ("rejected", pa.bool_())])

@@ -13,7 +13,7 @@ on a hot name are plain equi-joins of written tables, which adaptive execution s
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ontospark.llm._frames import cut
@@ -46,7 +46,7 @@ def _double(active: DataFrame, shift: int) -> DataFrame:
 
 
 def later_copies(docs: DataFrame, run: int = RUN) -> DataFrame:
-    """(doc, body, pos): starts of runs of `run` lines that also start earlier. doc, body: id and hash of the text."""
+    """(doc, body, pos, first): starts of runs of `run` lines that also start earlier, and the earliest start. doc, body: id and hash of the text."""
     named = docs.where("text IS NOT NULL").select(
         *_doc_key(), F.posexplode(F.transform(_lines(), lambda x: F.struct(F.xxhash64(x).alias("n1"), F.xxhash64(F.lit(1), x).alias("n2"), (F.trim(x) == "").alias("blank")))).alias("pos", "line")
     ).select("doc", "body", "pos", "line.*")
@@ -61,7 +61,24 @@ def later_copies(docs: DataFrame, run: int = RUN) -> DataFrame:
         active = cut(_repeated(_double(active, shift)))
         have += shift
     found = active.where(F.col("first") < F.struct("doc", "body", "pos"))
-    return found.where("NOT blank").select("doc", "body", "pos") if starts is None else found.join(starts, ["doc", "body", "pos"]).select("doc", "body", "pos")
+    return (found.where("NOT blank") if starts is None else found.join(starts, ["doc", "body", "pos"])).select("doc", "body", "pos", "first")
+
+
+def maximal_runs(docs: DataFrame, run: int = RUN) -> DataFrame:
+    """Maximal runs of at least `run` lines that also start earlier, whatever their length: doc, start, length, source_doc, source_start.
+
+    A suffix and the earliest suffix of its interval have a common prefix of `run` lines or more. Where the suffixes at
+    the following lines have sources at the following lines too, the common prefix is longer by as much: such suffixes
+    are one run, whose length is the longest common prefix with its source from the run's start on. Runs start on a line
+    that isn't blank. Repeated rows of a doc_id with one text are one document.
+    """
+    found = later_copies(docs, run).distinct()
+    apart = F.col("first.pos") - F.col("pos")
+    key = [F.col("doc"), F.col("body"), F.col("first.doc"), F.col("first.body"), apart]
+    island = F.col("pos") - F.row_number().over(Window.partitionBy(*key).orderBy("pos"))
+    runs = found.select("doc", "body", "pos", "first", island.alias("island"), apart.alias("apart")).groupBy("doc", "body", F.col("first.doc").alias("source_doc"), F.col("first.body").alias("source_body"), "apart", "island")
+    out = runs.agg(F.min("pos").alias("start"), (F.max("pos") - F.min("pos") + run).cast("long").alias("length"), F.min("first.pos").alias("source_start"))
+    return out.select("doc", "start", "length", "source_doc", "source_start")
 
 
 def drop_repeated_lines(docs: DataFrame, run: int = RUN) -> DataFrame:

@@ -7,6 +7,8 @@ logistic fit turns scores into probabilities that the label is 1.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -122,10 +124,13 @@ def fit(x: np.ndarray, y: np.ndarray, steps: int = 600, seed: int = 7) -> Ranker
     return Ranker(edges, w, *_calibrate(z @ w, y.astype(float)))
 
 
+_FEATURES = pa.schema([("doc_id", pa.int64()), ("y", pa.int32()), ("x", pa.binary())])
+
+
 def _features_of(batches):
     for b in batches:
-        rows = [(y, features(body or b"").tobytes()) for y, body in rows_of([b], "quality", "body")]
-        yield batch(pa.schema([("y", pa.int32()), ("x", pa.binary())]), [[r[0] for r in rows], [r[1] for r in rows]])
+        rows = [(d, y, features(body or b"").tobytes()) for d, y, body in rows_of([b], "doc_id", "quality", "body")]
+        yield batch(_FEATURES, [list(c) for c in zip(*rows, strict=True)] or [[], [], []])
 
 
 _SCORED = pa.schema([("doc_id", pa.int64()), ("score", pa.float64())])
@@ -144,12 +149,16 @@ def _scored(model: Ranker):
 
 
 def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Ranker:
-    """Fit on at most `sample` labelled documents; rows with a null id or a label other than 0 and 1 are left out."""
+    """Fit on at most `sample` labelled documents; rows with a null id or a label other than 0 and 1 are left out.
+
+    Of documents that repeat an id one is taken, the same each time.
+    """
     ship(docs.sparkSession)
-    picked = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
+    picked = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).distinct()
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(sample)
-    got = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).join(F.broadcast(picked), "doc_id").select("quality", "body").mapInArrow(_features_of, "y int, x binary").limit(2 * sample).collect()
-    got = sorted((r[0], bytes(r[1])) for r in got)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).join(F.broadcast(picked), "doc_id")
+    got = rows.select("doc_id", "quality", "body").mapInArrow(_features_of, "doc_id long, y int, x binary").groupBy("doc_id", "y").agg(F.min("x").alias("x")).collect()
+    got = sorted((r[1], bytes(r[2])) for r in got)
     x = np.array([np.frombuffer(r[1], np.float32) for r in got], np.float32).reshape(-1, WIDTH)
     return fit(x, np.array([r[0] for r in got], int))
 
@@ -160,7 +169,27 @@ def score(docs: DataFrame, model: Ranker) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).mapInArrow(_scored(model), "doc_id long, score double")
 
 
+def cutoff(scored: DataFrame, share: float, bins: int = 4096) -> float | None:
+    """The exact (1 - share) quantile of all scores: the score of the n-th best row, n = share of the rows, rounded up.
+
+    Each pass counts the scores in bins of the range that is left, so a task never holds more than the bins.
+    """
+    low, high, n = scored.where("score IS NOT NULL").agg(F.min("score"), F.max("score"), F.count("score")).first()
+    if not n:
+        return None
+    left, above = max(1, math.ceil(share * n - 1e-9)), high
+    while low < above:
+        width = (above - low) / bins
+        at = F.least(F.floor((F.col("score") - low) / F.lit(width)), F.lit(bins - 1)) if width > 0 else F.when(F.col("score") < above, 0).otherwise(1)
+        for r in scored.where(F.col("score").between(low, above)).groupBy(at.alias("b")).agg(F.count("score").alias("n"), F.min("score").alias("low"), F.max("score").alias("high")).orderBy(F.desc("b")).collect():
+            if left <= r["n"]:
+                low, above = r["low"], r["high"]
+                break
+            left -= r["n"]
+    return low
+
+
 def keep_best(scored: DataFrame, share: float) -> DataFrame:
-    """Rows whose score is at or above the (1 - share) quantile of all scores; ties at the threshold stay."""
-    cutoff = scored.agg(F.percentile_approx("score", 1 - share, 100_000)).first()[0]
-    return scored.where(F.lit(True) if cutoff is None else F.col("score") >= cutoff)
+    """Rows whose score is at or above the exact (1 - share) quantile of all scores; ties at the threshold stay."""
+    least = cutoff(scored, share)
+    return scored.where(F.lit(True) if least is None else F.col("score") >= least)
