@@ -100,6 +100,16 @@ def test_groups_of_a_prefix_are_bounded():
     assert (np.diff(leaves["h"].astype(float)) >= 0).all()  # leaves are sorted by label, nodes are runs
 
 
+def test_told_nodes_are_found_by_both_labels():
+    rng = np.random.default_rng(1)
+    pairs = sorted({(int(a), int(b)) for a, b in rng.integers(0, 12, (90, 2))})  # many nodes share a first label
+    head = np.array(pairs, dtype=substring_dedup._NODE)
+    told = head[rng.random(len(head)) < 0.4]
+    more = np.array([(a, 99) for a in range(12)], dtype=substring_dedup._NODE)
+    got = substring_dedup._among(head, rng.permutation(np.concatenate([told, told, more])))
+    assert [p for p, x in zip(pairs, got, strict=True) if x] == [tuple(map(int, x)) for x in told]
+
+
 def test_blobs_are_packed_by_field():
     x = np.zeros(5, substring_dedup._LEAF)
     x["h"], x["g"], x["doc"], x["pos"] = np.arange(5).astype(np.uint64) + np.uint64(2**63), np.arange(5), -np.arange(5), 7
@@ -618,7 +628,7 @@ def test_lm_score_equals_brute_force(spark, monkeypatch):
 
 
 def test_slots_follow_the_lexicon():
-    assert [lm_score.slot_bits(n) for n in (0, 10**4, 10**5, 10**9)] == [16, 17, 21, lm_score.MOST_SLOTS]
+    assert [lm_score.slot_bits(n) for n in (0, 10**4, 10**5, 10**9)] == [16, 17, 21, 22]
 
 
 def test_rare_words_count_in_all_contexts():
