@@ -155,6 +155,19 @@ def _firsts(x: np.ndarray) -> np.ndarray:
     return np.concatenate([[True], (x["h"][1:] != x["h"][:-1]) | (x["g"][1:] != x["g"][:-1])]) if len(x) else np.zeros(0, bool)
 
 
+def _among(head: np.ndarray, told: np.ndarray) -> np.ndarray:
+    """Which sorted nodes are among those told; equal first labels with unlike second ones are told apart."""
+    h, g = np.concatenate([head["h"], told["h"]]), np.concatenate([head["g"], told["g"]])
+    mine = np.arange(len(h)) < len(head)
+    order = np.lexsort((mine, g, h))  # a told node comes right before the equal one in head
+    h, g, mine = h[order], g[order], mine[order]
+    hit = np.zeros(len(h), bool)
+    hit[1:] = mine[1:] & (h[1:] == h[:-1]) & (g[1:] == g[:-1])
+    out = np.zeros(len(head), bool)
+    out[order[hit]] = True
+    return out
+
+
 def _read(left: pa.Table, right: pa.Table, *, keep: bool) -> tuple[list[tuple], int, dict[int, list[bytes]]]:
     docs, slice_ = [], 0
     for doc, slice_, body in zip(*(left.column(c).to_pylist() for c in ("doc_id", "slice", "body")), strict=True):
@@ -232,10 +245,7 @@ def _finish(window: int, prefix: int, digest: bool):
                 head = x[first]
                 late = (x["doc"] != head["doc"][node]) | (x["pos"] != head["pos"][node])
                 if blobs[2]:
-                    told = _unpacked(blobs[2], _NODE)
-                    both = np.concatenate([head[["h", "g"]].astype(_NODE), told])
-                    _, name = np.unique(both, return_inverse=True)
-                    known = np.isin(name[: len(head)], name[len(head) :])
+                    known = _among(head, _unpacked(blobs[2], _NODE))
                     late |= known[node]
                 for row, pos in zip(x["row"][late].tolist(), x["pos"][late].tolist(), strict=True):
                     gone[row][pos] += 1
