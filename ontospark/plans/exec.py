@@ -141,8 +141,24 @@ def _plan_group(group: list[CQ], db: Database) -> DataFrame:
     return plan_cq(first, db, {hole: _tree([df for _, df in db.scan(preds)])}, distinct=False)
 
 
+def _connected(parts: list[tuple[set, DataFrame]]) -> tuple[set, DataFrame]:
+    """Take the first part and all that share variables with it, directly or by others, from the list and join them."""
+    have, df = parts.pop(0)
+    while (k := next((j for j, p in enumerate(parts) if p[0] & have), None)) is not None:
+        v, other = parts.pop(k)
+        if v <= have:
+            df = df.join(other, sorted(v), "left_semi")
+        else:
+            df = df.join(other, sorted(v & have))
+        have = have | v
+    return have, df
+
+
 def run_folded(f: FoldedQuery, db: Database) -> DataFrame:
-    """One DataFrame for each component, then joins on the variables that they share; existence tests where a component has none."""
+    """One DataFrame for each component, then joins on the variables that they share.
+
+    Components that reach no head variable over shared ones are joined among themselves and become one existence test.
+    """
     parts = []
     for head, union in zip(f.heads, f.unions, strict=True):
         df = run_union(union, db, "merged", arity=len(head))
@@ -155,17 +171,18 @@ def run_folded(f: FoldedQuery, db: Database) -> DataFrame:
         for other in loose[1:]:
             df = _exists(df, other)
         return df
-    have, df = parts.pop(0)
+    groups = []
     while parts:
-        k = next((j for j, p in enumerate(parts) if p[0] & have), None)
-        v, other = parts.pop(k if k is not None else 0)
-        if k is None:
-            df = df.crossJoin(other) if v & out or any(v & p[0] for p in parts) else _exists(df, other)
-        elif v <= have and not any(p[0] & v - have for p in parts):
-            df = df.join(other, sorted(v), "left_semi")
+        have, df = _connected(parts)
+        if have & out:
+            groups.append(df.select(*sorted(have & out)))
         else:
-            df = df.join(other, sorted(v & have))
-        have = have | v
+            loose.append(df)
+    if not groups:
+        groups.append(loose.pop(0).select(F.lit(True).alias("holds")).limit(1))
+    df = groups[0]
+    for other in groups[1:]:
+        df = df.crossJoin(other.distinct())
     for other in loose:
         df = _exists(df, other)
     cols = [(F.lit(t.value) if isinstance(t, Const) else F.col(t)).alias(f"a{i}") for i, t in enumerate(f.head, 1)]
