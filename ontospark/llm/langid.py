@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ontospark.llm._frames import batch, rows_of
+from ontospark.llm._frames import batch, freeing, rows_of
 from ontospark.plans.ship import ship
 
 #: Labelled documents that one fit uses at most, picked by a hash of their id, and the bytes that their subwords may take on the driver.
@@ -175,7 +175,7 @@ def identify(docs: DataFrame, model: Model) -> DataFrame:
     Reads doc_id and text only. Rows that repeat a doc_id each get a row. No rows: no rows.
     """
     ship(docs.sparkSession)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).mapInArrow(_predicted(model), "doc_id long, lang_pred string, score double, rejected boolean")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body")).mapInArrow(freeing(_predicted(model)), "doc_id long, lang_pred string, score double, rejected boolean")
 
 
 def drop_rejected(docs: DataFrame, model: Model) -> DataFrame:
@@ -188,4 +188,4 @@ def drop_rejected(docs: DataFrame, model: Model) -> DataFrame:
             keep = [not (p[0] == "und" or p[1] < model.threshold) for p in (model.predict(None if t is None else t.encode("utf-8", "surrogatepass")) for t in b.column("text").to_pylist())]
             yield b.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(of, fields)
+    return docs.mapInArrow(freeing(of), fields)

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ontospark.llm._frames import batch, rows_of
+from ontospark.llm._frames import batch, freeing, rows_of
 from ontospark.plans.ship import ship
 
 SEQUENCE = 2048
@@ -210,7 +210,7 @@ def pack(docs: DataFrame, path: str | None = None, tokens: int = SEQUENCE, segme
         path = public_tokenizers.path("byte_bpe_50k.json")
     kind = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + ", ids binary" * with_ids
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return src.mapInArrow(_pack(path, (tokens, segments, tokens if loss_tokens is None else loss_tokens), with_ids), kind)
+    return src.mapInArrow(freeing(_pack(path, (tokens, segments, tokens if loss_tokens is None else loss_tokens), with_ids)), kind)
 
 
 def pack_examples(examples: DataFrame, limits: tuple[int, int, int], block: int = 4096) -> DataFrame:

@@ -215,6 +215,21 @@ def test_jaccard_join(spark, monkeypatch):
     assert sorted(map(str, again)) == sorted(map(str, got)) and len(calls) == 3
 
 
+def test_a_slice_of_a_large_component_takes_bounded_memory():
+    import tracemalloc
+
+    rng, n = np.random.default_rng(5), jaccard_join.SLICE // 1000
+    texts = [" ".join(map(str, rng.integers(0, 10**6, 1004))).encode() for _ in range(n)]
+    nodes = [jaccard_join.node_of(jaccard_join.shingle_set(t, 5)) for t in texts]
+    group = pa.table({"slice": [0] * n, "root": [1] * n, "node": nodes, "body": texts})
+    tracemalloc.start()
+    tallied = jaccard_join._tally(5, 3)(group)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    kept = sum(len(b) for b in tallied.column("blob").to_pylist()) // 12
+    assert kept == len(np.unique(np.concatenate([jaccard_join.shingle_set(t, 5) for t in texts]))) and peak < 40 << 20
+
+
 @pytest.mark.parametrize("m", jaccard_join.STEPS)
 def test_prefixes_lose_no_link(m):
     rng = np.random.default_rng(m + 1)
