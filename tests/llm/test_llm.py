@@ -215,6 +215,16 @@ def test_jaccard_join(spark, monkeypatch):
     assert sorted(map(str, again)) == sorted(map(str, got)) and len(calls) == 3
 
 
+def test_words_are_asked_for_without_places():
+    classes = lm_score.Classes([])
+    bodies = [b"b a b c", None, b"", "Été x C".encode()]
+    table = pa.table({"slice": [3] * 4, "body": pa.array(bodies, pa.binary())})
+    asked = lm_score._ask(5, classes)(table)
+    docs, at, held, _ = lm_score._slice_words(table, 5, classes)
+    sent = np.concatenate([np.frombuffer(b, np.uint64) for b in asked.column("blob").to_pylist()])
+    assert len(sent) == held == 5 and (sent[at] == np.concatenate(docs)).all()
+
+
 def test_a_slice_of_a_large_component_takes_bounded_memory():
     import tracemalloc
 
