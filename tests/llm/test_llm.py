@@ -652,6 +652,102 @@ def test_lm_score_equals_brute_force(spark, monkeypatch):
         assert abs(got[d] - want) < 1e-3 * (1 + len(ws)), d
 
 
+def slow_text(text, z, table, bits, weights, map_, before="    ", longest=5, first=0, last=10**9):
+    """slow_word for the symbols first to last of a word that follows other text: the contexts of one to four bytes reach before it."""
+    M, s, back = 0xFFFFFFFF, [*text.encode(), 32], [*before.encode()]
+    total, pairs, mixed = 0.0, [], lambda x, k: (x ^ x >> k) & (1 << 64) - 1
+    for at, symbol in list(enumerate(s))[first:last]:
+        past = [(back + s)[len(back) + at - k - 1] for k in range(4)]
+        x = sum((v + 1) * pow(0x9E3779B97F4A7C15, i, 1 << 64) for i, v in enumerate(s[:at])) % (1 << 64)
+        x = mixed(mixed(mixed(x, 30) * 0xBF58476D1CE4E5B9 % (1 << 64), 27) * 0x94D049BB133111EB % (1 << 64), 31)
+        c = [min(at, 3), *(sum(past[i] << 8 * (k - i) for i in range(k + 1)) for k in range(4)), x >> 32]
+        hashed = [(v + (0x9E3779B1 * (k + 1) & M) + z * 0x3C6EF372) * 0x85EBCA6B & M for k, v in enumerate(c)]
+        hashed = [(h ^ h >> 13) * 0xC2B2AE35 & M for h in hashed]
+        partial = 1
+        for b in range(7, -1, -1):
+            bit, ins = symbol >> b & 1, []
+            for k, v in enumerate(hashed):
+                h = (v ^ (partial * 0x27D4EB2F & M)) * 0x165667B1 & M
+                i = ((h ^ h >> 15) * 0x9E3779B1 & M) >> 32 - bits
+                pairs.append((i, bit))
+                n0, n1 = table[i]
+                seen = n0 + n1 if k == longest else seen if k else 0
+                ins.append(max(-12, min(12, math.log((n1 + 0.05) / (n0 + 0.05)) * min(1, (n0 + n1) / 2))))
+            if weights is not None:
+                gate = min(15, int(math.log2(1 + seen)))
+                y = sum(w * x for w, x in zip(weights[gate], [*ins, 1.0], strict=True))
+                spot = (max(-7.999, min(7.999, y)) + 8) * 2
+                lo = int(spot)
+                refined = map_[gate][lo] * (1 - spot + lo) + map_[gate][lo + 1] * (spot - lo)
+                p = min(1 - 1e-6, max(1e-6, 0.5 / (1 + math.exp(-max(-30, min(30, y)))) + 0.5 * refined))
+                total += math.log10(p if bit else 1 - p)
+            partial = partial << 1 | bit
+    return pairs if weights is None else total
+
+
+def test_lm_score_across_words_equals_brute_force(spark, monkeypatch):
+    rng = random.Random(4)
+    rows = [(i, "  ".join(f"{rng.choice(['a', 'b', 'Ab', 'abc'])}{rng.choice(['', 'la', 'é', 'x' * 9])}" for _ in range(rng.randint(0, 12)))) for i in range(60)]
+    rows += [(61, None), (62, "\tabc a\nb"), (63, "a abc b"), (64, "neverseen " + "q" * 3000)]
+    held = {}
+    fit, merge = lm_score.fit_classes, lm_score.merged
+    monkeypatch.setattr(lm_score, "fit_classes", lambda *a: held.setdefault("classes", fit(*a)))
+    monkeypatch.setattr(lm_score, "merged", lambda model, learned: (merge(model, learned), held.setdefault(model.longest, model))[0])
+    got = {r.doc_id: r.score for r in lm_score.score_documents(frame(spark, rows), lambda d: d < 40, across=True).collect()}
+    classes, late, early = held["classes"], held[5], held[4]
+    said = {d: words(t, True) for d, t in rows}
+    of = {d: classes.of(hashed_words((t or "").encode().translate(LOWER))) for d, t in rows}
+    table, count, sizes = [[0.0, 0.0] for _ in range(1 << late.bits)], Counter(), Counter()
+    for d in range(40):
+        for k, w in enumerate(said[d]):
+            before = " ".join([" " * 3, *said[d][:k], ""])
+            for z, span in ((8, (before, 4, 0, 3)), (of[d], ("\0", 5, 3))):
+                for i, bit in slow_text(w, z, table, late.bits, None, None, *span):
+                    table[i][bit] += 1
+            count[w, of[d]] += 1
+            sizes[of[d]] += 1
+    total = sum(sizes.values())
+    p_end = (40 + 1) / (total + 40 + 2)
+    weights, map_, weights_e, map_e = late.weights.tolist(), late.map.tolist(), early.weights.tolist(), early.map.tolist()
+    for d in said:
+        parts = [0.0 for _ in lm_score.PARTS]
+        for k, w in enumerate(said[d]):
+            before = " ".join([" " * 3, *said[d][:k], ""])
+            bits = slow_text(w, 8, table, late.bits, weights_e, map_e, before, 4, 0, 3) + slow_text(w, of[d], table, late.bits, weights, map_, "\0", 5, 3)
+            often = count[w, of[d]] / max(1, sizes[of[d]])
+            for i, x in enumerate(lm_score.PARTS):
+                parts[i] += math.log10(x * often + (1 - x) * 10**bits) if often else math.log10(1 - x) + bits
+        most = max(parts)
+        want = most + math.log10(sum(10 ** (p - most) for p in parts) / len(parts)) + float(classes.log10_prior[of[d]]) + math.log10(p_end) + len(said[d]) * math.log10(1 - p_end)
+        assert abs(got[d] - want) < 1e-3 * (1 + len(said[d])), d
+    assert abs(got[62] - got[63]) > 0.01  # the same words in another order
+
+
+def test_word_order_enters_the_query(spark, tmp_path):
+    rows = [(d, "wet rope sank; old ship swam; " * 3) for d in range(30) if zlib.crc32(str(d).encode()) % 7 != 2] + [(100, "wet rope sank; old ship swam;"), (101, "swam; sank; ship old rope wet")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r.score for r in queries.op10_lm_score(spark, str(tmp_path)).collect()}
+    assert got[100] > got[101] + 0.5
+
+
+def test_heads_of_words():
+    for raw in (b"", b"  ", b"a", b"ab cde  fghij\nk lm", b"\tabcd e \xc3\xa9\0 ", b"abc"):
+        text, want, parts = b"    ", [], []
+        for k, w in enumerate(raw.split()):
+            want.append(text[-4:] + (w + b"   ")[:3] + b" ")
+            for i in range(min(3, len(w) + 1)):
+                s = text + w + b" "
+                parts.append((s[len(text) + i - 4 : len(text) + i + 1], k))
+            text += w + b" "
+        keys = lm_score.head_keys([raw, b" ", raw])
+        n = len(want)
+        got = [int(x).to_bytes(8, "big") for x in keys.tolist()]
+        assert [x[:7] for x in got] == [x[:7] for x in want] * 2
+        x, of = lm_score.head_symbols(keys[:n])
+        assert sorted(zip((int(v).to_bytes(5, "big") for v in x.tolist()), of.tolist(), strict=True)) == sorted(parts)
+        assert (lm_score._unpacked(lm_score._packed(x)) == x).all()
+
+
 def test_slots_follow_the_lexicon():
     assert [lm_score.slot_bits(n) for n in (0, 10**4, 10**5, 10**9)] == [16, 17, 21, 22]
 
