@@ -6,11 +6,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ontospark.llm import decontaminate, jaccard_join, langid, line_dedup, packing
-from ontospark.llm._frames import bounded, cut, table
+from ontospark.llm._frames import bounded, cut, small_batches, table
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is rejected (no letter, or too little confidence) go."""
+    small_batches(spark)
     return langid.drop_rejected(docs, langid.train(docs))
 
 
@@ -23,6 +24,7 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near-duplicates the document with the least id stays, once."""
+    small_batches(spark)
     found = cut(jaccard_join.similar(docs))
     gone = cut(found.where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct())
     out = docs.join(bounded(gone), F.col("doc_id") == F.col("_gone"), "left_anti")
@@ -41,6 +43,7 @@ def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str)
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every remaining document, cut and packed into sequences of 2048 tokens."""
+    small_batches(spark)
     return packing.pack(docs)
 
 

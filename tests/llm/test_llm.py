@@ -14,6 +14,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from ontospark.llm import chat, components, decontaminate, jaccard_join, langid, line_dedup, lm_score, packing, quality, queries, substring_dedup, topk
+from ontospark.llm import pipeline as stages
 from ontospark.llm._text import LOWER, grams, hashed_words, sliding_min, spans
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -799,6 +800,22 @@ def test_pipeline_stages(spark, tmp_path):
     assert [n for n, _ in corpus_pipeline.STAGES] == ["language_id", "line_dedup", "ngram_jaccard_join", "benchmark_decontamination", "packing"]
 
 
+def test_pipeline_sends_small_batches(spark):
+    keys = ["spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"]
+    before = [spark.conf.get(k) for k in keys]
+    sizes = lambda: [r.n for r in spark.range(0, 5000, 1, 1).mapInArrow(lambda it: (pa.RecordBatch.from_pydict({"n": [b.num_rows]}) for b in it), "n long").collect()]
+    try:
+        docs = frame(spark, [(i, "the quick brown fox jumps over the lazy dog " * 3) for i in range(20)]).select("doc_id", "text", F.lit("en").alias("lang"))
+        stages.language_id(spark, docs, "").count()
+        assert max(sizes()) <= 1000 and sum(sizes()) == 5000
+        spark.conf.set(keys[0], "10")
+        stages.language_id(spark, docs, "")
+        assert spark.conf.get(keys[0]) == "10"
+    finally:
+        for k, v in zip(keys, before, strict=True):
+            spark.conf.set(k, v)
+
+
 def test_native_operators_run_no_python(spark):
     sf = "/root/testdata/sf0.001"
     for q in (queries.op1_line_dedup, queries.op3_decontamination, queries.op7_chat_format):
