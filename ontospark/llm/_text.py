@@ -14,6 +14,7 @@ LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
 PIECE = 1 << 22
+_GAPS = SEPARATOR.astype(np.uint8).tobytes()
 _powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
@@ -44,6 +45,16 @@ def spans(raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return b, np.flatnonzero(turn == -1), np.flatnonzero(turn == 1)
 
 
+def spans_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """spans() of all texts, joined by one separator, and the number of each text's words."""
+    raw = b"\n".join(texts)
+    gap = np.frombuffer(b"\1" + raw.translate(_GAPS) + b"\1", np.uint8)
+    turn = np.flatnonzero(gap[1:] != gap[:-1])
+    starts, ends = turn[::2].copy(), turn[1::2].copy()
+    stops = np.cumsum([len(x) + 1 for x in texts], dtype=np.int64) - 1
+    return np.frombuffer(raw, np.uint8), starts, ends, np.diff(np.searchsorted(starts, stops), prepend=0)
+
+
 def _hash_piece(b: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     _grow(len(b) + 1)
     total = np.zeros(len(b) + 1, np.uint64)
@@ -52,14 +63,14 @@ def _hash_piece(b: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarr
     return mix(h ^ (ends - starts).astype(np.uint64))
 
 
-def word_hashes(b: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+def word_hashes(b: np.ndarray, starts: np.ndarray, ends: np.ndarray, piece: int = PIECE) -> np.ndarray:
     """One 64-bit hash for each word; long texts are cut between words, so memory stays bounded."""
-    if len(b) <= PIECE:
+    if len(b) <= piece:
         return _hash_piece(b, starts, ends)
     out, lo = [], 0
     while lo < len(starts):
         base = starts[lo]
-        hi = max(lo + 1, int(np.searchsorted(ends, base + PIECE, "right")))
+        hi = max(lo + 1, int(np.searchsorted(ends, base + piece, "right")))
         out.append(_hash_piece(b[base : ends[hi - 1]], starts[lo:hi] - base, ends[lo:hi] - base))
         lo = hi
     return np.concatenate(out) if out else np.zeros(0, np.uint64)

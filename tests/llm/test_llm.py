@@ -749,6 +749,63 @@ def test_heads_of_words():
         assert (lm_score._unpacked(lm_score._packed(x)) == x).all()
 
 
+def test_texts_of_a_model_are_hashed_together(monkeypatch):
+    rng = random.Random(8)
+    bodies = [None, b"", b" \t ", b"x" * 300_000 + b" B", b" " * 300_000, *(" ".join(rng.choice("Ab é cd\n e \v f".split(" ")) for _ in range(rng.randint(0, 40))).encode() for _ in range(195))]
+    lower = [(b or b"").translate(LOWER) for b in bodies]
+    hashes = [hashed_words(b) for b in lower]
+    classes = lm_score.Classes([])
+    classes.theta = np.random.default_rng(8).normal(size=classes.theta.shape).astype(np.float32)
+    of = [classes.of(h) for h in hashes]
+    key = [lm_score.keyed(h, z) for h, z in zip(hashes, of, strict=True)]
+    assert len(set(of)) > 2
+    calls, hash_ = [], lm_score.word_hashes
+    monkeypatch.setattr(lm_score, "word_hashes", lambda *a: calls.append(0) or hash_(*a))
+    docs, at, held, got = lm_score._slice_words(pa.table({"slice": [1] * 200, "body": pa.array(bodies, pa.binary())}), 5, classes)
+    assert list(got) == of and held == len(set(np.concatenate(key).tolist())) and [d.tolist() for d in docs] == [k.tolist() for k in key]
+    train = [i % 3 > 0 for i in range(200)]
+    rows = lm_score.batch(pa.schema([("doc_id", pa.int64()), ("body", pa.binary()), ("train", pa.bool_())]), [list(range(200)), bodies, train])
+    assert [b for x in lm_score._bags([rows]) for b in x.column("h").to_pylist()] == [lm_score.bag(h).astype("<i2").tobytes() for h in hashes]
+    want, said = Counter(), {}
+    for k, b, t in zip(key, lower, train, strict=True):
+        for x, w in zip(k.tolist(), re.findall(rb"[^\x20\x09-\x0D]+", b), strict=True):
+            want[x] += t
+            said[x] = w
+    n, words_ = Counter(), {}
+    for x in lm_score._words([rows], 5, classes):
+        for h, c, length, body in zip(*(x.column(i).to_pylist() for i in range(1, 5)), strict=True):
+            h, length = np.frombuffer(h, "<u8").tolist(), np.frombuffer(length, "<i4")
+            for k, c_, w in zip(h, np.frombuffer(c, "<i8").tolist(), np.split(np.frombuffer(body, np.uint8), np.cumsum(length)[:-1]), strict=True):
+                n[k] += c_
+                words_[k] = w.tobytes()
+    assert n == want and words_ == said
+    assert len(calls) <= 4  # not once a text
+
+
+def test_a_learning_step_equals_sums_over_each_gate():
+    rng = np.random.default_rng(6)
+    model = lm_score.Mixer(np.zeros(1 << 16), np.zeros(1 << 16), 0.1)
+    model.weights = rng.normal(size=model.weights.shape).astype(np.float32)
+    weights, map_ = model.weights.astype(float), model.map.astype(float)
+    for gates in ([3], [0, 2, 15], list(range(16))):
+        gate = np.sort(rng.choice(gates, 300))
+        x, bit, w = rng.normal(size=(7, 300)).astype(np.float32), rng.integers(0, 2, 300), rng.random(300) * 9
+        saw = model._step(x, gate, bit, w, 0.4)
+        z = [float(weights[g] @ x[:, i]) for i, g in enumerate(gate)]
+        step, total = np.zeros_like(weights), np.zeros(16)
+        for i, g in enumerate(gate):
+            step[g] += w[i] * (bit[i] - 1 / (1 + math.exp(-z[i]))) * x[:, i]
+            total[g] += w[i]
+        weights += 0.1 / np.maximum(total, 32)[:, None] * step
+        for side in (0, 1):
+            both = np.zeros((*map_.shape, 2))
+            for i, g in enumerate(gate):
+                y = (min(7.999, max(-7.999, z[i])) + 8) * 2
+                both[g, int(y) + side, bit[i]] += w[i] * (y - int(y) if side else 1 - y + int(y))
+            map_ = (map_ * 20 + both[..., 1]) / (20 + both.sum(2))
+        assert np.allclose(saw, total) and np.allclose(model.weights, weights, atol=1e-4) and np.allclose(model.map, map_, atol=1e-4)
+
+
 def test_slots_follow_the_lexicon():
     assert [lm_score.slot_bits(n) for n in (0, 10**4, 10**5, 10**9)] == [16, 17, 21, 22]
 
